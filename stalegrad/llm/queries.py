@@ -7,18 +7,26 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stalegrad.llm import exact_dedup, sharding, tokens
+from stalegrad.llm import exact_dedup, minhash_dedup, sharding, substring_dedup, tokens
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def op2_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return minhash_dedup.near_duplicates(_docs(spark, sf_dir), size=3, percent=85)
+
+
 def op3_stratified_shards(spark: SparkSession, sf_dir: str) -> DataFrame:
     placed = sharding.stratified_shards(_docs(spark, sf_dir), n_shards=8, seed=17)
     return placed.select("doc_id", "size", "text_crc32", F.lit("rows").alias("law"), "shard", "slot", F.lit(None).cast("int").alias("grown_shard"), "source")
 
 
+def op4_substring_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_dedup.remove_repeats(_docs(spark, sf_dir), window=50).drop("kept_text")
+
+
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     lengths = tokens.token_lengths(_docs(spark, sf_dir).select("text"), tokens.tokenizer_path())
     return tokens.length_histogram(lengths)
@@ -43,7 +51,7 @@ SELECT t.doc_id, g.keep_id, g.group_size, t.doc_id = g.keep_id AS kept, t.text_s
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op3_stratified_shards, op5_token_counts, op9_best_fit_packing, op10_exact_dedup)}
+    return {f.__name__: f for f in (op2_minhash_near_dedup, op3_stratified_shards, op4_substring_dedup, op5_token_counts, op9_best_fit_packing, op10_exact_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
