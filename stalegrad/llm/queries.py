@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stalegrad.llm import exact_dedup, minhash_dedup, sharding, substring_dedup, suffix_dedup, tokens
+from stalegrad.llm import exact_dedup, language_id, minhash_dedup, sharding, substring_dedup, suffix_dedup, tokens
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -36,6 +36,10 @@ def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeats(_docs(spark, sf_dir), width=400).drop("kept_bytes")
 
 
+def op8_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return language_id.identify(_docs(spark, sf_dir))
+
+
 def op9_best_fit_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.pack(_docs(spark, sf_dir), tokens.tokenizer_path(), limit=1024, end_id=2)
 
@@ -55,7 +59,7 @@ SELECT t.doc_id, g.keep_id, g.group_size, t.doc_id = g.keep_id AS kept, t.text_s
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_minhash_near_dedup, op3_stratified_shards, op4_substring_dedup, op5_token_counts, op7_suffix_array_dedup, op9_best_fit_packing, op10_exact_dedup)}
+    return {f.__name__: f for f in (op2_minhash_near_dedup, op3_stratified_shards, op4_substring_dedup, op5_token_counts, op7_suffix_array_dedup, op8_language_id, op9_best_fit_packing, op10_exact_dedup)}
 
 
 def oracle_sql() -> dict[str, str]:
