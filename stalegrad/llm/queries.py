@@ -7,13 +7,17 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from stalegrad.llm import exact_dedup, language_id, minhash_dedup, sharding, substring_dedup, suffix_dedup, tokens
+from stalegrad.llm import decontaminate, exact_dedup, language_id, license_scan, minhash_dedup, sharding, substring_dedup, suffix_dedup, tokens
 
 
 def _docs(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def op1_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return license_scan.scan_licenses(_docs(spark, sf_dir))
+
+
 def op2_minhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return minhash_dedup.near_duplicates(_docs(spark, sf_dir), size=3, percent=85)
 
@@ -32,6 +36,10 @@ def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tokens.length_histogram(lengths)
 
 
+def op6_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontaminate.leaks(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op7_suffix_array_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return suffix_dedup.remove_repeats(_docs(spark, sf_dir), width=400).drop("kept_bytes")
 
@@ -58,8 +66,22 @@ SELECT t.doc_id, g.keep_id, g.group_size, t.doc_id = g.keep_id AS kept, t.text_s
 """
 
 
+QUERIES = (
+    op1_license_scan,
+    op2_minhash_near_dedup,
+    op3_stratified_shards,
+    op4_substring_dedup,
+    op5_token_counts,
+    op6_benchmark_decontamination,
+    op7_suffix_array_dedup,
+    op8_language_id,
+    op9_best_fit_packing,
+    op10_exact_dedup,
+)
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    return {f.__name__: f for f in (op2_minhash_near_dedup, op3_stratified_shards, op4_substring_dedup, op5_token_counts, op7_suffix_array_dedup, op8_language_id, op9_best_fit_packing, op10_exact_dedup)}
+    return {f.__name__: f for f in QUERIES}
 
 
 def oracle_sql() -> dict[str, str]:
