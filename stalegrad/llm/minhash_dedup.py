@@ -6,18 +6,20 @@ first scatters the shingles, the second is read at places shifted circularly by
 shingle into K neighbours in memory, so a signature is a minimum over rows of
 one sliding view.
 
-Bands of the signature retrieve candidates; a candidate pair is linked only if
-the Jaccard similarity of the two full shingle sets (64-bit fingerprints of the
+Bands of the signature retrieve candidates; two documents are linked only if the
+Jaccard similarity of the two full shingle sets (64-bit fingerprints of the
 words) reaches the threshold, in integers.  With ``bands`` bands of ``rows``
 rows a pair at the threshold t is missed with probability (1 - t**rows)**bands:
-1e-13 for t = 0.85 and 2e-9 for t = 0.8 at the defaults.
+4e-9 for t = 0.85 with 7 rows, 2e-9 for t = 0.8 with 5 rows.
 
 Equal sets are one class from the start, however many rows share them.  In each
-band bucket all sets are first compared with the smallest one; sets of a bucket
-that are in one component by then need no comparison, the others are compared
-pair by pair (only sizes that can reach the threshold).  No link between
-different sets is lost by this, and a large group of near copies costs a star,
-not a square.
+band bucket all sets are first compared with the one of the smallest id, which
+joins most groups at the cost of a star.  A bucket whose sets then still lie in
+several components is compared wholly, but inside tasks: its sets are dealt into
+blocks of bounded bytes, each pair of blocks meets in one task, and only links
+that join two components leave it.  Buckets with the same members are compared
+once.  So no link between different sets is lost, and no pair that is not a link
+ever becomes a row.
 
 Edge cases: null or wordless texts have the empty set and are linked with
 nothing; fewer words than a shingle form one shingle; rows that repeat an id are
@@ -39,7 +41,8 @@ from stalegrad.llm.common import written
 from stalegrad.llm.kernels import LOWER, U64, blocks, mix, word_codes, word_spans
 
 UNIVERSE = 1 << 21
-BANDS, ROWS = 50, 5
+BANDS = 50
+BLOCK = 1 << 20
 
 
 @lru_cache(maxsize=1)
@@ -89,7 +92,12 @@ def _sets(column: pa.Array, size: int) -> Iterator[tuple[int, np.ndarray]]:
             yield lo + r, shingle_set(codes[first[r] : first[r + 1]], size)
 
 
-def features(docs: DataFrame, size: int, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+def rows_for(percent: int) -> int:
+    """Rows a band: more where the threshold leaves room for it."""
+    return 7 if percent >= 85 else 5
+
+
+def features(docs: DataFrame, size: int, bands: int, rows: int) -> DataFrame:
     """doc_id, n_shingles, set_key (digest of the set, null if empty), bands."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -134,6 +142,83 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "ka").join(right, "kb").select("a", "b", "sa", "sb").mapInArrow(test, "a long, b long")
 
 
+def _inside(sets: list[np.ndarray], side: np.ndarray, component: list[int], percent: int) -> list[tuple[int, int]]:
+    """Links between components among the sets of one task: enough of them to join what is linked.
+
+    ``side`` is 0 and 1 for the two blocks that meet here (all 0 for one block);
+    pairs within a block are another task's if there are two.
+    """
+    sizes = np.fromiter(map(len, sets), dtype=np.int64, count=len(sets))
+    up: dict[int, int] = {}
+
+    def root(c: int) -> int:
+        while up.get(c, c) != c:
+            c = up[c]
+        return c
+
+    out, both, two = [], None, bool(side.any())
+    if len(sets) > 12:  # all overlaps at once, over the shingles that two sets or more have
+        flat = np.concatenate(sets)
+        _, which, count = np.unique(flat, return_inverse=True, return_counts=True)
+        column = np.where(count > 1, np.cumsum(count > 1) - 1, -1)[which]
+        row = np.repeat(np.arange(len(sets)), sizes)
+        both = np.zeros((len(sets), len(sets)), dtype=np.float32)
+        for lo in range(0, int(column.max()) + 1, 4096):
+            here = (column >= lo) & (column < lo + 4096)
+            grid = np.zeros((len(sets), 4096), dtype=np.float32)
+            grid[row[here], column[here] - lo] = 1
+            both += grid @ grid.T
+        linked = 100 * both >= percent * (sizes[:, None] + sizes[None] - both)
+        who = np.array(component)
+        linked &= who[:, None] != who[None]
+        if two:
+            linked &= side[:, None] != side[None]
+        pairs = zip(*np.nonzero(np.triu(linked, 1)), strict=True)
+    else:
+        pairs = ((i, j) for i in range(len(sets)) for j in range(i + 1, len(sets)))
+    for i, j in pairs:
+        if two and side[i] == side[j]:
+            continue
+        a, b = root(component[i]), root(component[j])
+        if a == b or 100 * min(sizes[i], sizes[j]) < percent * max(sizes[i], sizes[j]):
+            continue
+        if both is None:
+            shared = len(np.intersect1d(sets[i], sets[j], assume_unique=True))
+            if 100 * shared < percent * (sizes[i] + sizes[j] - shared):
+                continue
+        up[max(a, b)] = min(a, b)
+        out.append((int(i), int(j)))
+    return out
+
+
+def _compared(members: DataFrame, sets: DataFrame, percent: int, block: int) -> DataFrame:
+    """Links (a, b) between components within each bucket of ``members``, all pairs considered.
+
+    Members are dealt into ``blocks`` by hash; block x goes to each task (x, y).
+    """
+    own = F.pmod(F.xxhash64("set_key", "bucket"), F.col("blocks")).cast("int")
+    spread = members.withColumn("own", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    placed = spread.select("bucket", "rep", "set_key", "component", F.least("own", "other").alias("x"), F.greatest("own", "other").alias("y"), (F.col("own") != F.least("own", "other")).cast("int").alias("side"))
+    total = members.agg(F.sum(F.col("n") * 8 * F.col("blocks"))).first()[0] or 0
+    parts = int(total // block) + 1
+
+    def meet(part: pa.Table) -> pa.Table:
+        part = part.sort_by([("bucket", "ascending"), ("x", "ascending"), ("y", "ascending")])
+        bucket, x, y, side = (part.column(c).to_numpy() for c in ("bucket", "x", "y", "side"))
+        rep, component, data = part.column("rep").to_pylist(), part.column("component").to_pylist(), part.column("shingles")
+        edge = np.flatnonzero((bucket[1:] != bucket[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])) + 1
+        a, b = [], []
+        for lo, hi in zip([0, *edge.tolist()], [*edge.tolist(), len(bucket)], strict=True):
+            group = [np.frombuffer(v.as_py(), dtype=np.uint64) for v in data[lo:hi]]
+            for i, j in _inside(group, side[lo:hi], component[lo:hi], percent):
+                a.append(rep[lo + i])
+                b.append(rep[lo + j])
+        return pa.table([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    keyed = placed.withColumn("part", F.pmod(F.xxhash64("bucket", "x", "y"), F.lit(parts))).join(sets, "set_key")
+    return keyed.groupBy("part").applyInArrow(meet, "a long, b long")
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(id, component): the least vertex reachable, for every vertex of ``edges`` (a, b).
 
@@ -153,9 +238,9 @@ def components(edges: DataFrame) -> DataFrame:
             return labels
 
 
-def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: int = BANDS, rows: int = ROWS) -> DataFrame:
+def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: int = BANDS, rows: int | None = None, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs``."""
-    feats = written(features(docs, size, bands, rows), "minhash")
+    feats = written(features(docs, size, bands, rows or rows_for(percent)), "minhash")
     full = feats.where("set_key IS NOT NULL AND doc_id IS NOT NULL")
     classes = full.groupBy("set_key").agg(F.min("doc_id").alias("rep"))
     reps = full.join(classes, "set_key").where("doc_id = rep").select("set_key", "rep", "n_shingles", "bands").dropDuplicates(["set_key"])
@@ -181,13 +266,10 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     first = components(links)
 
     owned = members.join(first.withColumnRenamed("id", "rep"), "rep", "left").select("bucket", "rep", "set_key", "n", F.coalesce("component", "rep").alias("component"))
-    open_ = owned.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("bucket")
-    owned = written(owned.join(open_, "bucket"), "open")
-    a = owned.select("bucket", F.col("rep").alias("a"), F.col("set_key").alias("ka"), F.col("n").alias("na"), F.col("component").alias("ca"))
-    b = owned.select("bucket", F.col("rep").alias("b"), F.col("set_key").alias("kb"), F.col("n").alias("nb"), F.col("component").alias("cb"))
-    rest = a.join(b, "bucket").where("ca < cb").where(fits("na", "nb")).select("a", "b", "ka", "kb").distinct()
-    tested = stars.select("ka", "kb").unionByName(stars.select(F.col("kb").alias("ka"), F.col("ka").alias("kb")))
-    more = _verified(rest.join(tested, ["ka", "kb"], "left_anti"), sets, percent)
+    open_ = owned.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("set_key").cast("decimal(38,0)")).alias("who"), F.sum("n").alias("load")).where("lo < hi")
+    once = open_.groupBy("m", "who", "load", "lo", "hi").agg(F.min("bucket").alias("bucket"))  # equal members: one bucket stands for all
+    dealt = once.select("bucket", F.ceil(F.col("load") * 8 / block).cast("int").alias("blocks"), (F.col("load") * 8).alias("bytes"))
+    more = _compared(written(owned.join(dealt, "bucket"), "open"), sets, percent, block)
 
     final = components(links.unionByName(more).unionByName(same))
     labelled = feats.join(classes, "set_key", "left").join(final.withColumnRenamed("id", "rep"), "rep", "left")

@@ -36,8 +36,8 @@ def brute(rows, size, percent):
     return sorted(((d, len(s), low.get(root(i)) if d is not None else None, d is None or low[root(i)] == d) for i, (d, s) in enumerate(zip(ids, sets, strict=True))), key=str)
 
 
-def check(spark, rows, size, percent):
-    got = sorted((tuple(r) for r in m.near_duplicates(cases.frame(spark, rows), size, percent).collect()), key=str)
+def check(spark, rows, size, percent, **options):
+    got = sorted((tuple(r) for r in m.near_duplicates(cases.frame(spark, rows), size, percent, **options).collect()), key=str)
     assert got == brute(rows, size, percent)
 
 
@@ -61,6 +61,18 @@ def test_near_copies_and_chains(spark):
     check(spark, rows, 5, 80)
 
 
+def test_large_group_with_outliers_in_blocks(spark):
+    r = random.Random(9)
+    base, rows = cases.words(77, 120, 5000), []
+    for i in range(70):
+        w = list(base)
+        for _ in range(r.choice([1, 2, 4, 9])):
+            w[r.randrange(120)] = f"z{r.randrange(40)}"
+        rows.append((i, " ".join(w)))
+    check(spark, rows, 3, 85)
+    check(spark, rows, 3, 85, block=9000)
+
+
 def test_given_table(spark, sf):
     rows = [(r.doc_id, r.text) for r in spark.read.parquet(f"{sf}/documents.parquet").collect()]
     check(spark, rows, 3, 85)
