@@ -427,4 +427,7 @@ _registered("run_coded_bound", lambda spark, d: workloads.coded_run(spark, d, 45
 _registered("rebalance_counts", lambda spark, d: workloads.rebalanced(spark, d))
 _registered("balancer_script", lambda spark, d: workloads.scripted_balancing(spark, d))
 _registered("order_stats_models", lambda spark, d: workloads.order_stat_models(spark, d))
+_registered("method_comparison_logistic", lambda spark, d: workloads.comparison(spark, d, "logistic", 8, 3, iterations=150))
+_registered("method_comparison_pca", lambda spark, d: workloads.comparison(spark, d, "pca", 8, 3, iterations=150))
+_registered("option_ablations", lambda spark, d: workloads.ablations(spark, d))
 _registered("delivery_and_cache", lambda spark, d: workloads.delivery_rows(spark, d))

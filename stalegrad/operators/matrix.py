@@ -73,6 +73,16 @@ def comm_bytes(d: int, k: int, width: int = 4) -> int:
     return d * k * width
 
 
+def coded_load(load: float, num: int, den: int) -> float:
+    """Load of a worker under coding at rate num/den."""
+    return load * den / num
+
+
+def hash_sample(df: DataFrame, share: float, seed: int = 0) -> DataFrame:
+    """Rows whose hashed uniform is below ``share``: the same rows under any partitioning."""
+    return df.where(F.conv(F.substring(row_digest(df, seed), 1, 12), 16, 10).cast("double") < share * float(1 << 48))
+
+
 #: Features of the logistic workload on lineitem joined with part.
 LOGIT_COLUMNS = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "p_size", "p_retailprice"]
 
@@ -99,6 +109,22 @@ def logit_matrix(lineitem: DataFrame, part: DataFrame, seed: int = 0, flip: floa
     return written(out, "logit") if keep else out
 
 
+def document_matrix(documents: DataFrame, labels: DataFrame) -> DataFrame:
+    """Quality labels against size features of documents, standardised: x0..x3 and label (few negatives)."""
+    words = F.size(F.split(F.coalesce("text", F.lit("")), r"\s+"))
+    raw = documents.join(labels, "doc_id").select("doc_id", F.log1p(F.col("n_chars").cast("double")).alias("a"), F.log1p(words.cast("double")).alias("b"), (F.length(F.regexp_replace("text", r"[^A-Z]", "")) / (1 + F.col("n_chars"))).alias("c"), F.when(F.col("quality") == 1, 1.0).otherwise(-1.0).alias("label"))
+    scaled, _ = standardize(raw, ["a", "b", "c"])
+    indexed = index_rows(scaled, digest=F.md5(F.col("doc_id").cast("string").cast("binary")))
+    return written(indexed.select("sample_idx", "label", *[F.col(c).alias(f"x{i}") for i, c in enumerate("abc")], F.lit(1.0).alias("x3")), "quality")
+
+
+def embedding_matrix(embeddings: DataFrame, positive: int = 0) -> DataFrame:
+    """One label against the rest on the embedding columns and an intercept."""
+    raw = embeddings.select("vec_id", F.when(F.col("label") == positive, 1.0).otherwise(-1.0).alias("label"), *[F.col("embedding")[i].cast("double").alias(f"x{i}") for i in range(64)], F.lit(1.0).alias("x64"))
+    indexed = index_rows(raw, digest=F.md5(F.col("vec_id").cast("string").cast("binary")))
+    return written(indexed.drop("vec_id"), "vectors")
+
+
 def token_cells(documents: DataFrame, buckets: int = 2048) -> DataFrame:
     """(doc_id, col): buckets of the lower-cased [a-z0-9]+ tokens of each document."""
     tokens = F.explode(F.array_distinct(F.regexp_extract_all(F.lower("text"), F.lit("[a-z0-9]+"), 0)))

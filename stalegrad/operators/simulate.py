@@ -121,6 +121,11 @@ def fresh_fraction(sim: DataFrame) -> DataFrame:
     return flat.groupBy((F.col("i") + 1).alias("worker")).agg(F.avg(F.col("hit").cast("double")).alias("u"))
 
 
+def predict_independent_iterations(mean_ms: float, length: int) -> np.ndarray:
+    """The prediction that forgets busy workers: t times the one-shot order statistic."""
+    return mean_ms * np.arange(1, length + 1)
+
+
 def prediction_error(predicted: DataFrame, observed: DataFrame, key: str, value: str) -> DataFrame:
     """Absolute and relative error of two curves at the same places."""
     both = predicted.select(key, F.col(value).alias("_p")).join(observed.select(key, F.col(value).alias("_o")), key)

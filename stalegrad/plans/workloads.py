@@ -46,6 +46,60 @@ def problem(spark: SparkSession, d: str, kind: str, columns: int = 512):
     return kernel, objective, objective.optimum(kernel.x, kernel.y)
 
 
+def labelled_problem(spark: SparkSession, d: str, kind: str):
+    """The further logistic problems: ``null`` (labels without signal), ``quality`` and ``vectors``."""
+    if kind == "null":
+        matrix = M.logit_matrix(load(spark, d, "lineitem"), load(spark, d, "part"), null_label=True)
+    elif kind == "quality":
+        matrix = M.document_matrix(spark.read.parquet(f"{d}/documents.parquet"), spark.read.parquet(f"{d}/labels.parquet"))
+    else:
+        matrix = M.embedding_matrix(load(spark, d, "embeddings"))
+    kernel = G.local_logistic(matrix)
+    objective = Logistic(kernel.n, kernel.x.shape[1])
+    return kernel, objective, objective.optimum(kernel.x, kernel.y)
+
+
+def release_script(workers: int, first: int, last: int, after_ms: float = 1000.0, amount: float = RAMP):
+    """The ramp, off again for workers first..last after a time."""
+
+    def factor(i: int, t: int, now: float) -> float:
+        released = first <= i + 1 <= last and now >= after_ms
+        return 1.0 if released else 1 + amount * (i + 1) / workers
+
+    return factor
+
+
+def cloud_stats(spark: SparkSession, d: str, workers: int = 100, noise: float = 10.0) -> pd.DataFrame:
+    """Many workers with noisy communication: its moments enlarged by ``noise``."""
+    stats = stats_of(spark, d, workers)
+    return stats.assign(e_comm=stats["e_comm"] * noise, v_comm=stats["v_comm"].fillna(0) * noise**2, v_comp=stats["v_comp"].fillna(0))
+
+
+def layout_profiles(layout: DataFrame, stats: DataFrame) -> DataFrame:
+    """Layout and moments of each worker side by side, in cogrouped batches; a missing side leaves nulls."""
+
+    def join(left: pd.DataFrame, right: pd.DataFrame) -> pd.DataFrame:
+        a, b = (left if len(left) else None), (right if len(right) else None)
+        worker = (a if a is not None else b)["worker"].iloc[0]
+        return pd.DataFrame({"worker": [worker], "rows": [a["rows"].iloc[0] if a is not None else None], "e_total": [float(b["e_comm"].iloc[0] + b["e_comp"].iloc[0]) if b is not None else None]})
+
+    return layout.groupBy("worker").cogroup(stats.groupBy("worker")).applyInPandas(join, "worker int, rows long, e_total double")
+
+
+def ablations(spark: SparkSession, d: str, kind: str = "logistic", workers: int = 8, w: int = 3, iterations: int = 150) -> DataFrame:
+    """Least gap reached by the stale-cache method under each option."""
+    variants = {
+        "default": {}, "no_margin": {"margin": 0.0}, "wide_margin": {"margin": 0.2}, "no_late_results": {"use_late": False},
+        "unscaled": {"scale_by_coverage": False}, "random_order": {"order": "random"}, "endpoint_overlap": {"overlap": "endpoint"},
+    }
+    out = None
+    for name, options in variants.items():
+        runs = sweep(spark, d, kind, [("stale_cache", w, False)], workers, iterations, 1, 5, options)
+        part = runs.agg(F.min("gap").alias("least_gap"), F.max("time_ms").alias("time_ms"), F.max("coverage").alias("coverage")).select(F.lit(name).alias("variant"), "*")
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
 def gd_steps(matrix: DataFrame, eta: float, steps: int) -> list[tuple[int, np.ndarray, float]]:
     """(t, iterate, mean loss) of plain gradient descent by the expression kernel."""
     n = matrix.count()
