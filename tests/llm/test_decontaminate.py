@@ -1,26 +1,31 @@
 import random
 from itertools import combinations
 
+import numpy as np
+
 from stalegrad.llm import decontaminate as d
 from tests.llm import cases
 
 
 def brute(docs, items, min_tokens=13, percent=80):
     """Item-document pairs with a good enough aligned stretch, by trying every diagonal and stretch."""
+    number: dict[str, int] = {}
     found = set()
+    split = [(k, np.array([number.setdefault(w, len(number)) for w in d.token_text(t or "").split()])) for k, t in items]
     for i, text in docs:
-        a = d.token_text(text or "").split()
-        for k, item in items:
-            b = d.token_text(item or "").split()
-            if not b:
+        a = np.array([number.get(w, -1) for w in d.token_text(text or "").split()])
+        for k, b in split:
+            if not len(b):
                 continue
             need = min(min_tokens, len(b))
-            for shift in range(-len(b) + 1, len(a)):
+            for shift in range(-len(b) + need, len(a) - need + 1):
                 lo, hi = max(0, -shift), min(len(b), len(a) - shift)
-                same = [a[p + shift] == b[p] for p in range(lo, hi)]
-                for x in range(len(same)):
+                same = a[lo + shift : hi + shift] == b[lo:hi]
+                if (i, k) in found or 100 * same.sum() < percent * need:
+                    continue
+                for x in np.flatnonzero(same):
                     for y in range(x + need, len(same) + 1):
-                        if 100 * sum(same[x:y]) >= percent * (y - x) and same[x] and same[y - 1]:
+                        if 100 * same[x:y].sum() >= percent * (y - x) and same[y - 1]:
                             found.add((i, k))
     return found
 
