@@ -178,7 +178,7 @@ def exact_groups(docs: DataFrame) -> DataFrame:
     smallest; ``drop_exact`` keeps one of them.
     """
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.unhex(F.sha2(normalised(F.col("text")), 256)).alias("digest"))
-    index = digest_index(rows)
+    index = written(digest_index(rows), "digests")  # written, so that the join can split a hot digest
     kept = F.coalesce(F.col("doc_id") == F.col("keep_id"), F.col("keep_id").isNull())
     return rows.join(index, "digest").select("doc_id", "keep_id", "group_size", kept.alias("kept"), F.lower(F.hex("digest")).alias("text_sha256"))
 
@@ -188,7 +188,7 @@ def drop_exact(docs: DataFrame) -> DataFrame:
     digest, keep = "_xd_digest", "_xd_keep"
     keyed = docs.withColumn(digest, F.unhex(F.sha2(normalised(F.col("text")), 256)))
     light = keyed.select(F.col("doc_id").cast("long").alias("doc_id"), F.col(digest).alias("digest"))
-    index = digest_index(light).select(F.col("digest").alias(digest), F.col("keep_id").alias(keep), "group_size").withColumnRenamed("group_size", "_xd_size")
+    index = written(digest_index(light), "digests").select(F.col("digest").alias(digest), F.col("keep_id").alias(keep), "group_size").withColumnRenamed("group_size", "_xd_size")
     first = keyed.join(index, digest).where(F.coalesce(F.col("doc_id") == F.col(keep), F.col(keep).isNull()))
     # repeated rows: ids that are still there twice are brought down to one row
     single, many = first.where(F.col("_xd_size") == 1), first.where(F.col("_xd_size") > 1)

@@ -242,12 +242,13 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     """doc_id, n_shingles, component_id, kept for every row of ``docs``."""
     feats = written(features(docs, size, bands, rows or rows_for(percent)), "minhash")
     full = feats.where("set_key IS NOT NULL AND doc_id IS NOT NULL")
-    classes = full.groupBy("set_key").agg(F.min("doc_id").alias("rep"))
+    # aggregates that a join meets are written first: two plain shuffles let it split a hot key
+    classes = written(full.groupBy("set_key").agg(F.min("doc_id").alias("rep")), "classes")
     reps = full.join(classes, "set_key").where("doc_id = rep").select("set_key", "rep", "n_shingles", "bands").dropDuplicates(["set_key"])
 
     exploded = reps.select("rep", "set_key", F.col("n_shingles").alias("n"), F.explode("bands").alias("bucket"))
     heads = exploded.groupBy("bucket").agg(F.min(F.struct("rep", "set_key", "n")).alias("head"), F.count(F.lit(1)).alias("m")).where("m > 1")
-    members = written(exploded.join(heads.select("bucket", "head"), "bucket"), "buckets")
+    members = written(exploded.join(written(heads.select("bucket", "head"), "heads"), "bucket"), "buckets")
 
     def fits(n: str, m: str):  # Jaccard is at most the ratio of the sizes
         return 100 * F.least(n, m) >= percent * F.greatest(n, m)
@@ -269,7 +270,7 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     open_ = owned.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("set_key").cast("decimal(38,0)")).alias("who"), F.sum("n").alias("load")).where("lo < hi")
     once = open_.groupBy("m", "who", "load", "lo", "hi").agg(F.min("bucket").alias("bucket"))  # equal members: one bucket stands for all
     dealt = once.select("bucket", F.ceil(F.col("load") * 8 / block).cast("int").alias("blocks"), (F.col("load") * 8).alias("bytes"))
-    more = _compared(written(owned.join(dealt, "bucket"), "open"), sets, percent, block)
+    more = _compared(written(owned.join(written(dealt, "dealt"), "bucket"), "open"), sets, percent, block)
 
     final = components(links.unionByName(more).unionByName(same))
     labelled = feats.join(classes, "set_key", "left").join(final.withColumnRenamed("id", "rep"), "rep", "left")
