@@ -82,9 +82,13 @@ class ExpressionKernel:
 
     def frame(self, tasks: list[tuple[int, int]], v: np.ndarray) -> DataFrame:
         """(lo, g0, g1, ...): the sums of every interval of ``tasks`` (disjoint)."""
-        spark = self.matrix.sparkSession
-        spans = spark.createDataFrame([(int(a), int(b)) for a, b in tasks], "lo long, hi long")
-        rows = self.matrix.where(_ranges(tasks)).join(F.broadcast(spans), F.col("sample_idx").between(F.col("lo"), F.col("hi")))
+        rows = self.matrix.where(_ranges(tasks))
+        if len(tasks) <= 128:  # few: a plain expression, no job for a broadcast
+            lo = F.coalesce(*[F.when(F.col("sample_idx").between(a, b), F.lit(a)) for a, b in tasks])
+            rows = rows.withColumn("lo", lo.cast("long"))
+        else:
+            spans = self.matrix.sparkSession.createDataFrame([(int(a), int(b)) for a, b in tasks], "lo long, hi long")
+            rows = rows.join(F.broadcast(spans), F.col("sample_idx").between(F.col("lo"), F.col("hi")))
         z = sum((F.col(c) * float(v[i, 0]) for i, c in enumerate(self.cols)), F.lit(0.0))
         pull = -F.col("label") / (1 + F.exp(F.col("label") * z)) / self.n
         return rows.groupBy("lo").agg(*[F.sum(pull * F.col(c)).alias(f"g{i}") for i, c in enumerate(self.cols)])

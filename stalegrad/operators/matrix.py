@@ -106,7 +106,13 @@ def logit_matrix(lineitem: DataFrame, part: DataFrame, seed: int = 0, flip: floa
     scaled, _ = standardize(raw, LOGIT_COLUMNS)
     indexed = index_rows(scaled, seed, digest=F.md5(F.concat_ws("|", F.lit(str(seed)), "row_key").cast("binary")))
     out = indexed.select("sample_idx", "label", *[F.col(c).alias(f"x{i}") for i, c in enumerate(LOGIT_COLUMNS)], F.lit(1.0).alias(f"x{len(LOGIT_COLUMNS)}"))
-    return written(out, "logit") if keep else out
+    return sorted_rows(out, "logit") if keep else out
+
+
+def sorted_rows(matrix: DataFrame, name: str) -> DataFrame:
+    """The matrix written in row order, so that row ranges skip files and pages."""
+    files = max(8, matrix.sparkSession.sparkContext.defaultParallelism)
+    return written(matrix.repartitionByRange(files, "sample_idx").sortWithinPartitions("sample_idx"), name)
 
 
 def document_matrix(documents: DataFrame, labels: DataFrame) -> DataFrame:
@@ -135,4 +141,4 @@ def token_cells(documents: DataFrame, buckets: int = 2048) -> DataFrame:
 def token_matrix(documents: DataFrame, buckets: int = 2048, seed: int = 0) -> DataFrame:
     """sample_idx and nz (column numbers from 0) of the document indicator matrix."""
     rows = token_cells(documents, buckets).groupBy("doc_id").agg(F.array_sort(F.collect_set("col")).alias("nz"))
-    return written(index_rows(rows, seed, digest=F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("doc_id").cast("string")).cast("binary"))).select("sample_idx", "nz"), "tokens")
+    return sorted_rows(index_rows(rows, seed, digest=F.md5(F.concat_ws("|", F.lit(str(seed)), F.col("doc_id").cast("string")).cast("binary"))).select("sample_idx", "nz"), "tokens")
