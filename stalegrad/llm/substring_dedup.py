@@ -5,7 +5,7 @@ names the ones that are the minimum of a window of the full length, which every
 full-length window contains (so nothing is lost and about one window in thirteen
 is named).  Names that occur in one document alone end there.  The survivors are
 extended to the full length, and only full windows around a surviving name are
-hashed (128 bits) and compared; ``repeat_levels`` goes on doubling until no
+hashed (96 bits) and compared; ``repeat_levels`` goes on doubling until no
 candidate is left, which measures how long repeats are.
 
 A window is judged by the smallest doc_id in which it starts.  Texts with equal
@@ -32,7 +32,7 @@ from pyspark.sql import functions as F
 from stalegrad.llm.common import written
 from stalegrad.llm.kernels import blocks, sliding_min, windows_hash, word_codes, word_spans
 
-FEATURES = "doc_id long, n_words long, kept_sha256 string, variant long, names array<long>"
+FEATURES = "doc_id long, n_words long, sha binary, names array<long>"
 
 
 def _joined(data: np.ndarray, start: np.ndarray, end: np.ndarray, keep: np.ndarray | None = None) -> bytes:
@@ -48,10 +48,6 @@ def _joined(data: np.ndarray, start: np.ndarray, end: np.ndarray, keep: np.ndarr
     return out[:-1].tobytes()
 
 
-def _variant(digest: str) -> int:
-    return int.from_bytes(bytes.fromhex(digest[:16]), "little", signed=True)
-
-
 def _name_windows(codes: np.ndarray, window: int) -> np.ndarray:
     """For each window of the full length the minimum of its half-length hashes."""
     half = window // 2
@@ -71,34 +67,28 @@ def features(docs: DataFrame, window: int) -> DataFrame:
                 for r in range(hi - lo):
                     a, b = first[r], first[r + 1]
                     counts.append(b - a)
-                    digests.append(hashlib.sha256(_joined(data, start[a:b], end[a:b])).hexdigest())
+                    digests.append(hashlib.sha256(_joined(data, start[a:b], end[a:b])).digest())
                     m = _name_windows(codes[a:b], window)
                     names.append(np.unique(m).view(np.int64) if len(m) else None)
                 yield pa.RecordBatch.from_arrays(
-                    [ids[lo:hi], pa.array(counts, pa.int64()), pa.array(digests), pa.array([_variant(d) for d in digests], pa.int64()), pa.array(names, pa.list_(pa.int64()))],
-                    names=["doc_id", "n_words", "kept_sha256", "variant", "names"],
+                    [ids[lo:hi], pa.array(counts, pa.int64()), pa.array(digests, pa.binary()), pa.array(names, pa.list_(pa.int64()))],
+                    names=["doc_id", "n_words", "sha", "names"],
                 )
 
     return docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").mapInArrow(read, FEATURES)
 
 
-def _candidate_rows(batch: pa.RecordBatch, window: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray, np.ndarray, np.ndarray]]:
-    """doc_id, variant, window starts around surviving names, and the three word tables of the text."""
-    ids, variants, names = batch.column("doc_id"), batch.column("variant"), batch.column("names")
+def _texts(batch: pa.RecordBatch) -> Iterator[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, list[tuple[int, int, int]]]]:
+    """Blocks with their words and (row, first word, end word) of the rows whose digest is the wanted one."""
+    shas = batch.column("sha")
     for lo, hi, data, offs in blocks(batch.column("text")):
         start, end, first = word_spans(data, offs)
-        codes = word_codes(data, start, end)
+        rows = []
         for r in range(hi - lo):
             a, b = first[r], first[r + 1]
-            if b - a < window:
-                continue
-            digest = hashlib.sha256(_joined(data, start[a:b], end[a:b])).hexdigest()
-            if _variant(digest) != variants[lo + r].as_py():
-                continue  # another text under the same id
-            alive = np.sort(np.asarray(names[lo + r].values, dtype=np.int64).view(np.uint64))
-            m = _name_windows(codes[a:b], window)
-            at = np.minimum(np.searchsorted(alive, m), len(alive) - 1)
-            yield ids[lo + r].as_py(), variants[lo + r].as_py(), np.flatnonzero(alive[at] == m), codes[a:b], data, (start[a:b], end[a:b])
+            if hashlib.sha256(_joined(data, start[a:b], end[a:b])).digest() == shas[lo + r].as_py():
+                rows.append((lo + r, a, b))  # else another text under the same id
+        yield data, start, end, rows
 
 
 def windows(texts: DataFrame, window: int) -> DataFrame:
@@ -106,24 +96,42 @@ def windows(texts: DataFrame, window: int) -> DataFrame:
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for doc, variant, pos, codes, data, (start, end) in _candidate_rows(batch, window):
-                if not len(pos):
-                    continue
-                second = word_codes(data, start, end, lane=1)
-                n = len(pos)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(windows_hash(codes, window)[pos].view(np.int64)), pa.array(windows_hash(second, window, 1)[pos].view(np.int64)), pa.array(np.full(n, doc)), pa.array(np.full(n, variant)), pa.array(pos.astype(np.int32))],
-                    names=["h1", "h2", "doc_id", "variant", "pos"],
-                )
-
-    return texts.mapInArrow(read, "h1 long, h2 long, doc_id long, variant long, pos int")
+            for data, start, end, rows in _texts(batch):
+                codes, second = word_codes(data, start, end), word_codes(data, start, end, lane=1)
+                h1, h2, doc, variant, place = [], [], [], [], []
+                for i, a, b in rows:
+                    if b - a < window:
+                        continue
+                    alive = np.sort(np.asarray(batch.column("names")[i].values, dtype=np.int64).view(np.uint64))
+                    m = _name_windows(codes[a:b], window)
+                    pos = np.flatnonzero(alive[np.minimum(np.searchsorted(alive, m), len(alive) - 1)] == m)
+                    h1.append(windows_hash(codes[a:b], window)[pos])
+                    h2.append(windows_hash(second[a:b], window, 1)[pos])
+                    doc.append(np.full(len(pos), batch.column("doc_id")[i].as_py()))
+                    variant.append(np.full(len(pos), batch.column("variant")[i].as_py(), dtype=np.int32))
+                    place.append(pos.astype(np.int32))
+                if h1:
+                    low = (np.concatenate(h2) & np.uint64(0xFFFFFFFF)).astype(np.uint32).view(np.int32)
+                    yield pa.RecordBatch.from_arrays(
+                        [pa.array(np.concatenate(h1).view(np.int64)), pa.array(low), pa.array(np.concatenate(doc)), pa.array(np.concatenate(variant)), pa.array(np.concatenate(place))],
+                        names=["h1", "h2", "doc_id", "variant", "pos"],
+                    )
+
+    return texts.select("doc_id", "sha", "variant", "names", "text").mapInArrow(read, "h1 long, h2 int, doc_id long, variant int, pos int")
 
 
 def _survivors(feats: DataFrame) -> DataFrame:
-    """(doc_id, variant, names): names of level one that start in two documents or more."""
+    """(doc_id, sha, variant, names): names of level one that start in two documents or more."""
     named = feats.select("doc_id", "variant", F.explode("names").alias("name"))
-    shared = named.groupBy("name").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("name")
-    return named.join(shared, "name").groupBy("doc_id", "variant").agg(F.collect_list("name").alias("names"))
+    shared = written(named.groupBy("name").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("name"), "shared")
+    kept = named.join(shared, "name").groupBy("doc_id", "variant").agg(F.collect_list("name").alias("names"))
+    return feats.select("doc_id", "sha", "variant").join(kept, ["doc_id", "variant"])
+
+
+def _with_variant(feats: DataFrame) -> DataFrame:
+    """Adds ``variant``: 0 but for the further texts of an id that was given to several."""
+    least = feats.groupBy("doc_id").agg(F.min("sha").alias("_least"))
+    return feats.join(least, "doc_id").withColumn("variant", F.when(F.col("sha") == F.col("_least"), 0).otherwise(F.hash("sha"))).drop("_least")
 
 
 def remove_repeats(docs: DataFrame, window: int = 50) -> DataFrame:
@@ -131,23 +139,23 @@ def remove_repeats(docs: DataFrame, window: int = 50) -> DataFrame:
     light = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     feats = written(features(docs, window), "windows")
     long_enough = feats.where((F.col("n_words") >= window) & F.col("doc_id").isNotNull())
-    firsts = long_enough.groupBy("kept_sha256").agg(F.min("doc_id").alias("first_id"), F.count(F.lit(1)).alias("copies"))
-    tagged = feats.join(firsts, "kept_sha256", "left")
-    sole = long_enough.join(firsts, "kept_sha256").where(F.col("doc_id") == F.col("first_id")).select("doc_id", "variant", "names").dropDuplicates(["doc_id", "variant"])
+    firsts = written(long_enough.groupBy("sha").agg(F.min("doc_id").alias("first_id")), "firsts")
+    sole = _with_variant(long_enough.join(firsts, "sha").where(F.col("doc_id") == F.col("first_id")).dropDuplicates(["doc_id", "sha"]))
     alive = _survivors(sole)
-    texts = light.join(alive, "doc_id").select("doc_id", "variant", "names", "text")
-    found = windows(texts, window)
-    smallest = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("h1", "h2", "lo")
+    found = windows(light.join(alive, "doc_id"), window)
+    # written, so that the join below meets two plain shuffles and can split a hot window
+    smallest = written(found.groupBy("h1", "h2").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi").select("h1", "h2", "lo"), "smallest")
     covered = found.join(smallest, ["h1", "h2"]).where("doc_id > lo").groupBy("doc_id", "variant").agg(F.collect_set("pos").alias("starts"))
-    cut = _cut(light.join(covered, "doc_id").select("doc_id", "variant", "starts", "text"), window).dropDuplicates(["doc_id", "variant"])
+    marked = alive.select("doc_id", "sha", "variant").join(covered, ["doc_id", "variant"]).drop("variant")
+    cut = _cut(light.join(marked, "doc_id").select("doc_id", "sha", "starts", "text"), window).dropDuplicates(["doc_id", "sha"])
     whole = (F.col("doc_id") > F.col("first_id")) & F.col("first_id").isNotNull()
-    out = tagged.join(cut, ["doc_id", "variant"], "left")
+    out = feats.select("doc_id", "n_words", "sha").join(firsts, "sha", "left").join(cut, ["doc_id", "sha"], "left")
     empty = hashlib.sha256(b"").hexdigest()
     return out.select(
         "doc_id",
         "n_words",
         F.when(whole, F.col("n_words")).otherwise(F.coalesce("cut_words", F.lit(0))).cast("long").alias("n_removed"),
-        F.when(whole, F.lit(empty)).otherwise(F.coalesce("cut_sha256", "kept_sha256")).alias("kept_sha256"),
+        F.when(whole, F.lit(empty)).otherwise(F.coalesce("cut_sha256", F.lower(F.hex("sha")))).alias("kept_sha256"),
         F.when(whole, F.lit("")).otherwise(F.col("cut_text")).alias("kept_text"),
     )
 
@@ -157,27 +165,21 @@ def _cut(texts: DataFrame, window: int) -> DataFrame:
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ids, variants, starts = batch.column("doc_id"), batch.column("variant"), batch.column("starts")
-            for lo, hi, data, offs in blocks(batch.column("text")):
-                start, end, first = word_spans(data, offs)
+            for data, start, end, rows in _texts(batch):
                 out = []
-                for r in range(hi - lo):
-                    a, b = first[r], first[r + 1]
-                    digest = hashlib.sha256(_joined(data, start[a:b], end[a:b])).hexdigest()
-                    if _variant(digest) != variants[lo + r].as_py():
-                        continue
+                for i, a, b in rows:
                     depth = np.zeros(b - a + 1, dtype=np.int64)
-                    pos = np.asarray(starts[lo + r].values, dtype=np.int64)
+                    pos = np.asarray(batch.column("starts")[i].values, dtype=np.int64)
                     np.add.at(depth, pos, 1)
                     np.add.at(depth, pos + window, -1)
                     keep = np.cumsum(depth[:-1]) == 0
                     text = _joined(data, start[a:b], end[a:b], keep)
-                    out.append((ids[lo + r].as_py(), variants[lo + r].as_py(), int((~keep).sum()), hashlib.sha256(text).hexdigest(), text.decode()))
+                    out.append((batch.column("doc_id")[i].as_py(), batch.column("sha")[i].as_py(), int((~keep).sum()), hashlib.sha256(text).hexdigest(), text.decode()))
                 if out:
-                    cols = list(zip(*out, strict=True))
-                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.int64(), pa.int64(), pa.int64(), pa.string(), pa.string()), strict=True)], names=["doc_id", "variant", "cut_words", "cut_sha256", "cut_text"])
+                    kinds = (pa.int64(), pa.binary(), pa.int64(), pa.string(), pa.string())
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=["doc_id", "sha", "cut_words", "cut_sha256", "cut_text"])
 
-    return texts.mapInArrow(read, "doc_id long, variant long, cut_words long, cut_sha256 string, cut_text string")
+    return texts.mapInArrow(read, "doc_id long, sha binary, cut_words long, cut_sha256 string, cut_text string")
 
 
 def repeat_levels(docs: DataFrame, first_window: int = 50) -> DataFrame:
@@ -189,8 +191,8 @@ def repeat_levels(docs: DataFrame, first_window: int = 50) -> DataFrame:
     spark = docs.sparkSession
     window, alive, rows = first_window, docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").where("doc_id IS NOT NULL"), []
     while True:
-        feats = features(alive, window).where(F.col("n_words") >= window).select("doc_id", "variant", "names")
-        found = windows(alive.join(_survivors(feats), "doc_id").select("doc_id", "variant", "names", "text"), window)
+        feats = _with_variant(features(alive, window).where(F.col("n_words") >= window))
+        found = windows(alive.join(_survivors(feats), "doc_id"), window)
         shared = found.groupBy("h1", "h2").agg(F.min("doc_id").alias("lo"), F.max("doc_id").alias("hi")).where("lo < hi")
         hits = written(found.join(shared, ["h1", "h2"]).groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")), "level")
         total = hits.agg(F.sum("n"), F.count(F.lit(1))).first()
