@@ -95,7 +95,7 @@ def length_histogram(lengths: DataFrame) -> DataFrame:
     tokens in documents of that length or longer), docs_below, tokens_below, and
     truncated_tokens: the total if every document is cut at ``n_tokens``.
     """
-    counts = lengths.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs")).withColumn("_tokens", F.col("n_tokens") * F.col("n_docs"))
+    counts = written(lengths.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs")), "lengths").withColumn("_tokens", F.col("n_tokens") * F.col("n_docs"))
     ahead = running_totals(counts, "n_tokens", ["n_docs", "_tokens"], descending=True).withColumnsRenamed({"run_n_docs": "docs_at_least", "run__tokens": "tokens_at_least"})
     below = running_totals(ahead, "n_tokens", ["n_docs", "_tokens"])
     n, own = F.col("n_tokens"), F.col("_tokens")
