@@ -21,7 +21,7 @@ TRIGGER, EVERY = 8, 32
 
 
 def _dense(keys: np.ndarray) -> tuple[np.ndarray, int]:
-    order = np.argsort(keys, kind="stable")
+    order = np.argsort(keys)
     ordered = keys[order]
     step = np.empty(len(keys), dtype=np.int64)
     step[:1] = 0
@@ -58,18 +58,22 @@ def suffix_ranks(symbols: np.ndarray, last: np.ndarray, pack: int, base: int, de
     return rank
 
 
-def suffix_keys(data: np.ndarray, offs: np.ndarray, depth: int | None = None) -> np.ndarray:
+def suffix_keys(data: np.ndarray, offs: np.ndarray, depth: int | None = None, wanted: np.ndarray | None = None) -> np.ndarray:
     """An integer for each byte place, ordered as the suffixes that start there.
 
     The suffix ends with its own string; strings are data[offs[k]:offs[k + 1]].
+    With ``wanted`` (places) only those get keys, and the dictionary's suffix
+    array leaves out phrases in which none of them starts.
     """
     n = len(data)
-    if not n:
+    if wanted is None:
+        wanted = np.arange(n)
+    if not len(wanted):
         return np.zeros(0, dtype=np.int64)
     ends = offs[1:]
     owner = np.repeat(np.arange(len(ends)), np.diff(offs))
     hashes = windows_hash(byte_codes(2)[data], TRIGGER)
-    cut = np.flatnonzero(hashes % U64(EVERY) == 0)
+    cut = np.flatnonzero(hashes & U64(EVERY - 1) == 0)
     cut = cut[owner[cut] == owner[np.minimum(cut + TRIGGER - 1, n - 1)]]  # trigger windows inside one string
     begins = np.union1d(offs[:-1][np.diff(offs) > 0], cut)
     whose = owner[begins]
@@ -77,22 +81,33 @@ def suffix_keys(data: np.ndarray, offs: np.ndarray, depth: int | None = None) ->
     stops = np.where(final, ends[whose], np.append(begins[1:], n) + TRIGGER)
 
     raw = data.tobytes()
-    seen: dict[tuple[bytes, bool], int] = {}
-    phrase = np.fromiter((seen.setdefault((raw[a:b], f), len(seen)) for a, b, f in zip(begins.tolist(), stops.tolist(), final.tolist(), strict=True)), dtype=np.int64, count=len(begins))
-
-    sizes = np.fromiter((len(p) + 1 for p, _ in seen), dtype=np.int64, count=len(seen))
-    at = np.concatenate(([0], np.cumsum(sizes)))
-    symbols = np.frombuffer(b"".join(p + b"\0" for p, _ in seen), dtype=np.uint8).astype(np.int64) + 3
-    symbols[at[1:] - 1] = np.fromiter((1 if f else 2 for _, f in seen), dtype=np.int64, count=len(seen))  # a string's end sorts first
-    d_rank = suffix_ranks(symbols, np.repeat(at[1:] - 1, sizes), 7, 259, depth)
-
-    parse = d_rank[at[phrase]] + 1
+    seen: dict[bytes, int] = {}
+    mark = (b"\2", b"\1")  # how the string's end and a phrase's end differ
+    phrase = np.fromiter((seen.setdefault(raw[a:b] + mark[f], len(seen)) for a, b, f in zip(begins.tolist(), stops.tolist(), final.tolist(), strict=True)), dtype=np.int64, count=len(begins))
+
+    # the parse: phrases by rank; a phrase that ends its string comes before its continuations
+    listed = list(seen)
+    order = sorted(range(len(listed)), key=lambda i: (listed[i][:-1], listed[i][-1]))
+    rank = np.empty(len(listed), dtype=np.int64)
+    rank[order] = np.arange(1, len(listed) + 1)
+    parse = rank[phrase]
     last_phrase = np.flatnonzero(final)[np.searchsorted(np.flatnonzero(final), np.arange(len(begins)))]
     p_rank = suffix_ranks(parse, last_phrase, 1, int(parse.max()) + 2, depth)
     follow = np.where(final, 0, np.append(p_rank[1:], 0) + 1)
 
-    mine = np.searchsorted(begins, np.arange(n), side="right") - 1
-    return d_rank[at[phrase[mine]] + np.arange(n) - begins[mine]] * (int(follow.max()) + 1) + follow[mine]
+    # the dictionary: suffixes of the phrases in which a wanted place lies
+    mine = np.searchsorted(begins, wanted, side="right") - 1
+    used = np.zeros(len(listed), dtype=bool)
+    used[phrase[mine]] = True
+    kept = np.flatnonzero(used)
+    sizes = np.fromiter((len(listed[i]) for i in kept), dtype=np.int64, count=len(kept))
+    at = np.concatenate(([0], np.cumsum(sizes)))
+    symbols = np.frombuffer(b"".join([listed[i] for i in kept]), dtype=np.uint8).astype(np.int64) + 3
+    symbols[at[1:] - 1] -= 3  # ends sort first
+    d_rank = suffix_ranks(symbols, np.repeat(at[1:] - 1, sizes), 7, 259, depth)
+    place = np.empty(len(listed), dtype=np.int64)
+    place[kept] = at[:-1]
+    return d_rank[place[phrase[mine]] + wanted - begins[mine]] * (int(follow.max()) + 1) + follow[mine]
 
 
 def suffix_order(data: np.ndarray, offs: np.ndarray) -> np.ndarray:
@@ -113,8 +128,7 @@ def repeated_starts(data: np.ndarray, offs: np.ndarray, width: int) -> np.ndarra
     starts = np.flatnonzero(room)
     if len(starts) < 2:
         return out
-    keys = suffix_keys(data, offs, depth=width)[starts]
-    order = starts[np.argsort(keys, kind="stable")]
+    order = starts[np.argsort(suffix_keys(data, offs, width, starts))]
     prints = windows_hash(byte_codes(0)[data], width)[order]
     same = prints[1:] == prints[:-1]
     out[order[1:][same]] = True

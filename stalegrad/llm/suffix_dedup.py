@@ -34,6 +34,7 @@ from stalegrad.llm.prefix_free import repeated_starts
 
 GRAM = 100
 PART_BYTES = 512 << 10
+SEGMENT = ["name", "dig", "content", "weight", "sha", "start"]
 
 
 def _names(codes: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -83,22 +84,27 @@ def segments(texts: DataFrame, width: int) -> DataFrame:
     """(name, dig, content, weight, sha, start): segments of surviving names; dig stands for name and content."""
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        kinds = (pa.int64(), pa.binary(), pa.binary(), pa.int64(), pa.binary(), pa.int64())
         for batch in batches:
+            out: list[tuple[int, bytes, bytes, int, bytes, int]] = []
+            held = 0
             for i, data in _rows(batch):
                 alive = np.sort(np.asarray(batch.column("names")[i].values, dtype=np.int64).view(np.uint64))
                 _, named = _names(byte_codes(0)[data], width)
                 begin, size = _runs(named)
                 own = named[begin]
-                hit = alive[np.minimum(np.searchsorted(alive, own), len(alive) - 1)] == own
-                begin, size, own = begin[hit], size[hit], own[hit]
-                raw = data.tobytes()
-                content = [raw[a : a + n + width - 1] for a, n in zip(begin.tolist(), size.tolist(), strict=True)]
-                dig = [hashlib.blake2b(c, digest_size=16, key=k.tobytes()).digest() for c, k in zip(content, own, strict=True)]
-                many = len(begin)
-                yield pa.RecordBatch.from_arrays(
-                    [pa.array(own.view(np.int64)), pa.array(dig, pa.binary()), pa.array(content, pa.binary()), pa.array([batch.column("weight")[i].as_py()] * many, pa.int64()), pa.array([batch.column("sha")[i].as_py()] * many, pa.binary()), pa.array(begin, pa.int64())],
-                    names=["name", "dig", "content", "weight", "sha", "start"],
-                )
+                hit = np.flatnonzero(alive[np.minimum(np.searchsorted(alive, own), len(alive) - 1)] == own)
+                raw, weight, sha = data.tobytes(), batch.column("weight")[i].as_py(), batch.column("sha")[i].as_py()
+                for k in hit.tolist():
+                    at = int(begin[k])
+                    content = raw[at : at + int(size[k]) + width - 1]
+                    out.append((int(own[k : k + 1].view(np.int64)[0]), hashlib.blake2b(content, digest_size=16, key=own[k].tobytes()).digest(), content, weight, sha, at))
+                    held += len(content)
+                if held > BLOCK_BYTES:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=SEGMENT)
+                    out, held = [], 0
+            if out:
+                yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*out, strict=True), kinds, strict=True)], names=SEGMENT)
 
     return texts.select("sha", "text", "weight", "names").mapInArrow(read, "name long, dig binary, content binary, weight long, sha binary, start long")
 
@@ -204,7 +210,7 @@ def remove_repeats(docs: DataFrame, width: int = 400, part_bytes: int = PART_BYT
     keyed = base.where(F.octet_length("text") >= width).withColumn("rid", row_id).select("rid", "sha", "text")
     seen = name_rows(keyed, width)  # every copy of a text counts, as it should
     alive = written(seen, "names")
-    shared = alive.groupBy("name").agg(F.sum("seen").alias("n")).where("n > 1").select("name")
+    shared = written(alive.groupBy("name").agg(F.sum("seen").alias("n")).where("n > 1").select("name"), "shared")
     named = alive.select("sha", "name").join(shared, "name").groupBy("sha").agg(F.collect_set("name").alias("names"))
     chosen = groups.join(named, "sha").select("rid", "sha", weight.alias("weight"), "names")
 
@@ -221,7 +227,8 @@ def remove_repeats(docs: DataFrame, width: int = 400, part_bytes: int = PART_BYT
     light = sized_names.where(F.col("bytes") <= part_bytes).withColumn("part", F.pmod(F.xxhash64("name"), F.lit(parts)))
     masks = light.select("part", "name", "dig", "content", "copies").groupBy("part").applyInArrow(_mark(width), "dig binary, mask binary")
     prints = _fingerprints(sized_names.where(F.col("bytes") > part_bytes), width)
-    twice = prints.groupBy("h1", "h2").agg(F.sum("copies").alias("n")).where("n > 1").select("h1", "h2")
+    # written, so that the join meets two plain shuffles and can split a hot window
+    twice = written(prints.groupBy("h1", "h2").agg(F.sum("copies").alias("n")).where("n > 1").select("h1", "h2"), "twice")
     heavy = _bits(prints.join(twice, ["h1", "h2"]).select("dig", "pos"))
     masks = written(masks.unionByName(heavy), "masks")
 
