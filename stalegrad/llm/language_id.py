@@ -7,9 +7,10 @@ After training, vectors times layer collapse into one score per bucket and
 language, so prediction is one gather and one mean over the whole text.
 
 The fit uses a bounded sample, the documented parameter ``max_rows`` (and at most
-``max_bytes`` of text; the sample is taken by hash order of the text, so it
-grows with the table until the bound).  A fifth of the sample is held back from
-the training to fit the temperature of the softmax and the rejection threshold:
+``max_bytes`` of text): distinct pairs of text and language by hash order, so
+copies take one place and the sample grows with the table until the bound, with
+places for every language; a text that does not fit is passed over.  A fifth of
+each language's sample is held back from the training to fit the temperature of the softmax and the rejection threshold:
 the confidence that all but ``reject_share`` of rightly labelled texts exceed,
 of which only the share ``slack`` above chance is asked, so that clean short texts stay.
 
@@ -27,6 +28,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
 from stalegrad.llm.common import fresh
 from stalegrad.llm.kernels import U64, blocks
@@ -94,8 +96,9 @@ def train(texts: list[bytes], labels: list[str], width: int = 16, epochs: int =
         at, n = np.unique(subwords(np.frombuffer(t, dtype=np.uint8)), return_counts=True)
         features.append((at, n / max(1, n.sum())))
     order = rng.permutation(len(texts))
-    held = order[: len(order) // 5]
-    fit = order[len(order) // 5 :]
+    each = [order[target[order] == k] for k in range(len(languages))]
+    held = np.concatenate([rows[: len(rows) // 5] for rows in each])  # so that every language is trained on
+    fit = np.concatenate([rows[len(rows) // 5 :] for rows in each])
     vectors = rng.uniform(-1, 1, (BUCKETS, width)) / width
     layer, bias = np.zeros((width, len(languages))), np.zeros(len(languages))
     steps, done = max(1, epochs * -(-len(fit) // batch)), 0
@@ -130,20 +133,46 @@ def train(texts: list[bytes], labels: list[str], width: int = 16, epochs: int =
     return model
 
 
+def _chosen(keys: list, max_rows: int, max_bytes: int) -> list:
+    """The rows of ``keys`` that fit, in order; texts above a sixteenth of the room wait until the others are in."""
+    room, taken = max_bytes, []
+    for late in (False, True):
+        for r in keys:
+            if (r["_n"] > max_bytes // 16) == late and r["_n"] <= room and len(taken) < max_rows:
+                room -= r["_n"]
+                taken.append(r)
+    return taken
+
+
+def sample(docs: DataFrame, max_rows: int, max_bytes: int) -> list[tuple[str, str]]:
+    """At most ``max_rows`` distinct (text, lang): half the places are dealt evenly over the languages, the rest by hash order.
+
+    The number of distinct texts of a language gives a hash below which four times
+    ``max_rows`` of them are expected, so what is ranked does not grow with the table.
+    """
+    key = F.shiftrightunsigned(F.xxhash64("text", "lang"), 1).alias("_at")
+    labelled = docs.where("lang IS NOT NULL AND text IS NOT NULL").select("text", "lang", key, F.octet_length("text").alias("_n")).where(F.col("_n") <= max_bytes)
+    # a sample has no room for more languages than rows: the largest ones
+    sizes = labelled.groupBy("lang").agg(F.approx_count_distinct("_at").alias("_size")).orderBy(F.desc("_size"), "lang").limit(max_rows).collect()
+    if not sizes:
+        return []
+    shares = [(r["lang"], min(1.0, 4 * max_rows / max(1, r["_size"]))) for r in sizes]
+    cut = F.broadcast(docs.sparkSession.createDataFrame(shares, "lang string, _share double"))
+    near = labelled.select("lang", "_at", "_n").join(cut, "lang").where(F.col("_at") <= F.col("_share") * float(1 << 63))
+    distinct = near.groupBy("lang", "_at").agg(F.min("_n").alias("_n"))
+    ranks = distinct.withColumn("_rank", F.row_number().over(Window.partitionBy("lang").orderBy("_at")))
+    turn = F.least("_rank", F.lit(max(1, max_rows // (2 * len(sizes))) + 1))
+    keys = ranks.withColumn("_turn", turn).orderBy("_turn", "_at", "lang").limit(4 * max_rows).collect()
+    wanted = {(r["_at"], r["lang"]) for r in _chosen(keys, max_rows, max_bytes)}
+    rows = labelled.where(F.col("_at").isin([at for at, _ in wanted])).select("_at", "lang", "text").distinct().collect()
+    texts = {(r["_at"], r["lang"]): r["text"] for r in sorted(rows, reverse=True)}  # the least of equal hashes
+    return [(texts[k], k[1]) for k in sorted(wanted)]
+
+
 def fit(docs: DataFrame, max_rows: int = 2_000, max_bytes: int = 16 << 20) -> Model:
-    """A model from a bounded sample of the labelled rows of ``docs`` (text, lang)."""
-    labelled = docs.where("lang IS NOT NULL AND text IS NOT NULL").select("text", "lang", F.xxhash64("text", "lang").alias("_at"), F.octet_length("text").alias("_n"))
-    keys = labelled.select("_at", "_n").orderBy("_at").limit(max_rows).collect()
-    room, last = max_bytes, None
-    for r in keys:
-        room -= r["_n"]
-        if room < 0:
-            break
-        last = r["_at"]
-    if last is None:
-        return train([], [])
-    rows = labelled.where(F.col("_at") <= F.lit(last)).orderBy("_at").limit(max_rows).select("text", "lang").collect()
-    return train([r["text"].encode() for r in rows], [r["lang"] for r in rows])
+    """A model from a bounded sample of the distinct labelled texts of ``docs`` (text, lang)."""
+    rows = sample(docs, max_rows, max_bytes)
+    return train([text.encode() for text, _ in rows], [lang for _, lang in rows])
 
 
 def predict(docs: DataFrame, model: Model, carry: list[str], out: tuple[str, str, str] = ("lang_pred", "score", "rejected")) -> DataFrame:

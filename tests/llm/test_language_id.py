@@ -39,3 +39,30 @@ def test_gradient_training_separates():
     texts = [b"aaa aaa bbb" if i % 2 else b"xxx yyy zzz" for i in range(100)]
     model = lid.train(texts, ["p" if i % 2 else "q" for i in range(100)])
     assert model.languages[int(model.probabilities(np.frombuffer(b"aaa", dtype=np.uint8)).argmax())] == "p"
+
+
+def test_sample_is_of_distinct_texts_of_every_language(spark, monkeypatch):
+    rows = [(i, f"text number {i}", "en" if i % 300 else "fr", "s", 1) for i in range(3000)]
+    copies = [(10_000 + i, f"copied {i % 40}", "en", "s", 1) for i in range(40 * 150)]
+    seen = {}
+    monkeypatch.setattr(lid, "train", lambda texts, labels: seen.update(texts=texts, labels=labels))
+    lid.fit(cases.frame(spark, rows + copies), max_rows=100)
+    assert len(seen["texts"]) == len(set(zip(seen["texts"], seen["labels"], strict=True))) == 100
+    assert seen["labels"].count("fr") == 10  # all there are
+
+
+def test_long_texts_are_passed_over(spark, monkeypatch):
+    rows = [(i, f"text {i}" + " long" * (400 if i % 2 else 0), "en" if i % 4 else "fr", "s", 1) for i in range(200)]
+    seen = {}
+    monkeypatch.setattr(lid, "train", lambda texts, labels: seen.update(texts=texts, labels=labels))
+    lid.fit(cases.frame(spark, rows), max_rows=150, max_bytes=4000)
+    assert sum(len(t) < 20 for t in seen["texts"]) == 100
+    assert sum(map(len, seen["texts"])) <= 4000
+    assert {"en", "fr"} == set(seen["labels"])
+
+
+def test_every_language_is_trained_on():
+    single = [c * 3 + b" " + c * 4 for c in (bytes([x]) for x in b"cdefghijkl")]
+    model = lid.train([b"aaa bbb"] * 10 + single, ["p"] * 10 + [t.decode()[0] for t in single], epochs=100)
+    for text in single:
+        assert model.languages[int(model.probabilities(np.frombuffer(text, dtype=np.uint8)).argmax())] == text.decode()[0]
