@@ -2,11 +2,13 @@
 
 For every template length a text is read through overlapping windows of that
 many tokens, an eighth of the length apart (at least one token).  Band hashes of
-a window's shingle set retrieve templates of that length; a template counts if
-at least ``percent`` in a hundred of its shingles stand in the window, on exact
-sets.  A window with containment 0.8 resembles its template by 2/3 or more, and
-24 bands of 2 rows then collide with probability 1 - (1 - 4/9)**24, which is
-above 0.999999.
+a window's shingle set retrieve templates of that length.  A notice that meets
+``percent`` at its own place stands at most half a step from some window, which
+then shares at least as many shingles less that distance; the bands of a length
+are so many that a window with the least resemblance this allows is missed with
+probability ``MISS`` at most.  A retrieved template is verified at every start of
+the text: it counts if at least ``percent`` in a hundred of its shingles stand in
+a window of its length, on exact sets.
 
 A window without any template shingle cannot share a band with a template, so
 only windows that hold one are signed; that skips nearly all text without
@@ -19,8 +21,9 @@ gives no rows.
 
 from __future__ import annotations
 
-from collections import defaultdict
+import math
 from collections.abc import Iterator
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
@@ -31,7 +34,7 @@ from stalegrad.llm.decontaminate import token_column, token_hashes, token_text
 from stalegrad.llm.kernels import U64, mix
 
 SHINGLE, PERCENT = 3, 80
-BANDS, ROWS = 24, 2
+MISS = 1e-9
 _FILTER = 1 << 20
 
 #: Short public license notices.
@@ -63,39 +66,59 @@ def shingles(tokens: np.ndarray) -> np.ndarray:
     return mix(out + U64(size))
 
 
-_SALTS = np.random.default_rng(31).integers(1, 2**63, BANDS * ROWS, dtype=np.uint64)
+@dataclass
+class Bands:
+    """Windows of one length: their step, the salts of their bands, and the templates by band hash."""
 
+    step: int
+    salts: np.ndarray
+    table: dict[int, list[str]] = field(default_factory=dict)
 
-def bands(distinct: np.ndarray) -> list[int]:
-    """Band hashes of one shingle set."""
-    low = mix(distinct[:, None] ^ _SALTS[None, :]).min(axis=0).reshape(BANDS, ROWS)
-    key = np.arange(BANDS, dtype=np.uint64)
-    for j in range(ROWS):
-        key = mix(key * U64(0x9E3779B97F4A7C15) + low[:, j])
-    return key.tolist()
+    def keys(self, distinct: np.ndarray) -> list[int]:
+        """Band hashes of one shingle set."""
+        low = mix(distinct[:, None, None] ^ self.salts[None]).min(axis=0)
+        key = np.arange(len(low), dtype=np.uint64)
+        for j in range(low.shape[1]):
+            key = mix(key * U64(0x9E3779B97F4A7C15) + low[:, j])
+        return key.tolist()
+
+
+def plan_bands(length: int, sizes: list[int], percent: int) -> Bands:
+    """Step and bands that find templates of ``length`` tokens and of so many distinct shingles at any offset."""
+    inside = max(1, length - SHINGLE + 1)
+    needs = [max(1, -(-percent * m // 100)) for m in sizes]
+    step = max(1, min(length // 8, *needs))
+    left = [need - step // 2 for need in needs]
+    least = min(x / (m + inside - x) for x, m in zip(left, sizes, strict=True))
+    rows = 2 if least >= 0.4 else 1
+    count = 1 if least >= 1 else math.ceil(math.log(MISS) / math.log1p(-(least**rows)))
+    return Bands(step, np.random.default_rng(31).integers(1, 2**63, (count, rows), dtype=np.uint64))
 
 
 class Templates:
     """Shingle sets of the templates, their bands by length, and a filter of their shingles."""
 
-    def __init__(self, texts: dict[str, str]):
+    def __init__(self, texts: dict[str, str], percent: int = PERCENT):
+        self.percent = percent
         self.sets: dict[str, np.ndarray] = {}
-        self.buckets: dict[int, dict[int, list[str]]] = defaultdict(lambda: defaultdict(list))
         self.filter = np.zeros(_FILTER, dtype=bool)
         names = sorted(texts)
+        lengths: dict[int, list[str]] = {}
         for i, tokens in token_hashes(pa.array([token_text(texts[n] or "") for n in names], pa.string())):
             if not len(tokens):
                 continue
-            name = names[i]
             own = np.unique(shingles(tokens))
-            self.sets[name] = own
+            self.sets[names[i]] = own
             self.filter[(own & U64(_FILTER - 1)).astype(np.int64)] = True
-            for b in bands(own):
-                self.buckets[len(tokens)][b].append(name)
-        self.buckets = {k: dict(v) for k, v in self.buckets.items()}
+            lengths.setdefault(len(tokens), []).append(names[i])
+        self.bands = {length: plan_bands(length, [len(self.sets[n]) for n in group], percent) for length, group in lengths.items()}
+        for length, group in lengths.items():
+            for name in group:
+                for b in self.bands[length].keys(self.sets[name]):
+                    self.bands[length].table.setdefault(b, []).append(name)
         self.every = np.unique(np.concatenate(list(self.sets.values()))) if self.sets else np.zeros(0, dtype=np.uint64)
 
-    def scan(self, tokens: np.ndarray, percent: int) -> list[tuple[str, int, int, int, int]]:
+    def scan(self, tokens: np.ndarray) -> list[tuple[str, int, int, int, int]]:
         """(template, first token, tokens, shared, template shingles): the best window of each template."""
         line = shingles(tokens)
         if not len(line) or not len(self.every):
@@ -105,23 +128,37 @@ class Templates:
         if not len(hot):
             return []
         best: dict[str, tuple[int, int, int]] = {}
-        for length, table in self.buckets.items():
+        for length, bands in self.bands.items():
             size = min(length, len(tokens))
             inside = max(1, size - SHINGLE + 1)
-            step = max(1, length // 8)
-            starts = np.arange(0, len(tokens) - size + 1, step)
+            starts = np.arange(0, len(tokens) - size + 1, bands.step)
             if starts[-1] != len(tokens) - size:
                 starts = np.append(starts, len(tokens) - size)
             starts = starts[np.searchsorted(hot, starts) < np.searchsorted(hot, starts + inside)]
-            for s in starts.tolist():
-                own = np.unique(line[s : s + inside])
-                for name in {n for b in bands(own) for n in table.get(b, ())}:
-                    shared = len(np.intersect1d(own, self.sets[name], assume_unique=True))
-                    if 100 * shared >= percent * len(self.sets[name]) and shared > best.get(name, (0, 0, 0))[2]:
-                        best[name] = (s, size, shared)
+            met = {name for s in starts.tolist() for b in bands.keys(np.unique(line[s : s + inside])) for name in bands.table.get(b, ())}
+            for name in met:
+                shared = _shared(line, hot, self.sets[name], inside, len(tokens) - size + 1)
+                s = int(shared.argmax())
+                if shared[s] and 100 * int(shared[s]) >= self.percent * len(self.sets[name]):
+                    best[name] = (s, size, int(shared[s]))
         return [(name, *best[name], len(self.sets[name])) for name in sorted(best)]
 
 
+def _shared(line: np.ndarray, hot: np.ndarray, own: np.ndarray, inside: int, count: int) -> np.ndarray:
+    """How many distinct shingles of ``own`` stand in each of the windows that start at 0..count-1."""
+    at = hot[np.isin(line[hot], own)]
+    order = np.lexsort((at, line[at]))
+    before = np.full(len(at), -1)
+    again = np.flatnonzero(line[at[order]][1:] == line[at[order]][:-1]) + 1
+    before[order[again]] = at[order[again - 1]]
+    # a place counts for the starts that reach it and lie behind the place before with the same shingle
+    first = np.maximum(np.maximum(before, at - inside) + 1, 0)
+    change = np.zeros(max(len(line), count) + 1, dtype=np.int64)
+    np.add.at(change, first, 1)
+    np.add.at(change, at + 1, -1)
+    return np.cumsum(change)[:count]
+
+
 def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, percent: int = PERCENT) -> DataFrame:
     """doc_id, template, license, first_token, n_tokens, n_shared, n_template: one row a document and template.
 
@@ -132,10 +169,10 @@ def scan_licenses(docs: DataFrame, templates: dict[str, str] | None = None, perc
     shared = docs.sparkSession.sparkContext.broadcast(texts)
 
     def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        table = Templates(shared.value)
+        table = Templates(shared.value, percent)
         for batch in batches:
             ids = batch.column("doc_id")
-            rows = [(ids[i].as_py(), name, name.split("/")[0], *rest) for i, doc in token_hashes(batch.column("tokens")) for name, *rest in table.scan(doc, percent)]
+            rows = [(ids[i].as_py(), name, name.split("/")[0], *rest) for i, doc in token_hashes(batch.column("tokens")) for name, *rest in table.scan(doc)]
             if rows:
                 kinds = (pa.int64(), pa.string(), pa.string(), pa.int64(), pa.int64(), pa.int64(), pa.int64())
                 yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(zip(*rows, strict=True), kinds, strict=True)], names=["doc_id", "template", "license", "first_token", "n_tokens", "n_shared", "n_template"])

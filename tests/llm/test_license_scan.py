@@ -1,5 +1,8 @@
+import random
+
 import numpy as np
 import pyarrow as pa
+import pytest
 
 from stalegrad.llm import license_scan as ls
 from stalegrad.llm.decontaminate import token_hashes, token_text
@@ -46,3 +49,30 @@ def test_given_table(spark, sf):
 def test_empty(spark):
     assert ls.scan_licenses(cases.empty(spark)).count() == 0
     assert ls.scan_licenses(cases.frame(spark, cases.odd_rows()), {}).count() == 0
+
+
+def everywhere(t, own, n, percent):
+    """Whether some window of n tokens holds the share, over all starts."""
+    size = min(n, len(t))
+    return any(100 * len(own & set(ls.shingles(t[s : s + size]).tolist())) >= percent * len(own) for s in range(len(t) - size + 1))
+
+
+@pytest.mark.parametrize("percent", [80, 40])
+def test_every_offset_of_edited_notices(spark, percent):
+    r = random.Random(percent)
+    notices = {f"n/{n}": " ".join(f"t{n}x{i}" for i in range(n)) for n in (9, 16, 18, 24, 30, 60, 200)}
+    rows = []
+    for n, notice in ((len(x.split()), x) for x in notices.values()):
+        for offset in range(40):
+            w = notice.split()
+            for _ in range(max(1, n * (100 - percent) // 300)):
+                w[r.randrange(n)] = f"edit{r.randrange(10**6)}"
+            rows.append((len(rows), " ".join(cases.words(len(rows), offset) + w + cases.words(len(rows) + 999, r.randrange(40)))))
+    docs = {d: tokens(text) for d, text in rows}
+    own = {name: (set(ls.shingles(tokens(x)).tolist()), len(tokens(x))) for name, x in notices.items()}
+    want = {(d, name) for d, t in docs.items() for name, (s, n) in own.items() if everywhere(t, s, n, percent)}
+    got = ls.scan_licenses(cases.frame(spark, rows), notices, percent).collect()
+    assert {(g.doc_id, g.template) for g in got} == want and len(want) > 100
+    for g in got:
+        window = ls.shingles(docs[g.doc_id][g.first_token : g.first_token + g.n_tokens])
+        assert g.n_shared == len(own[g.template][0] & set(window.tolist()))
