@@ -102,6 +102,57 @@ def sim_gamma_replicates(spark, d):
     return simulate.cumulative_latency(simulate.simulate(spark, stats, W, T, 64, seed=2)).select("t", *r6("cum_ms"))
 
 
+# --- the same over all recordings, streamed by t (the recursive ones are too slow as SQL) ------
+
+
+def whole(spark, d) -> DataFrame:
+    """(t, x array<double>): latencies by worker of every iteration that all workers have."""
+    rows = trace(spark, d).groupBy("t").agg(F.array_sort(F.collect_list(F.struct("worker", "round_trip_ms"))).alias("x"))
+    return rows.where(F.size("x") == N).select("t", F.transform("x", lambda s: s["round_trip_ms"]).alias("x"))
+
+
+@query()
+def sim_iterations_all(spark, d):
+    return simulate.stream(whole(spark, d), W).select("t", *r6("end_ms"), F.size(F.filter("fresh", lambda hit: hit)).alias("n_fresh"))
+
+
+def fresh_of_all(spark, d) -> DataFrame:
+    return simulate.fresh_fraction(simulate.stream(whole(spark, d), W)).select(F.col("worker").cast("int").alias("worker"), "u")
+
+
+@query()
+def fresh_fraction_all(spark, d):
+    return fresh_of_all(spark, d).select("worker", *r6("u"))
+
+
+@query()
+def staleness_hist_all(spark, d):
+    late = simulate.stream(whole(spark, d), W).select(F.explode("staleness").alias("staleness"))
+    return late.groupBy("staleness").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query()
+def cumulative_latency_all(spark, d):
+    return simulate.stream(whole(spark, d), W).select("t", F.round("end_ms", 6).alias("cum_ms"), *r6("blind_ms"))
+
+
+@query()
+def carryover_gap_all(spark, d):
+    out = None
+    for w in (1, 3, 8):
+        last = simulate.stream(whole(spark, d), w).agg(F.max("end_ms").alias("end"), F.max("blind_ms").alias("blind"))
+        part = last.select(F.lit(w).alias("w"), F.round(F.col("end") / F.col("blind"), 6).alias("ratio"))
+        out = part if out is None else out.unionByName(part)
+    return out
+
+
+@query()
+def contribution_all(spark, d):
+    sizes = layout(spark, d)
+    total = sizes.agg(F.sum("rows").alias("n"))
+    return sizes.join(F.broadcast(fresh_of_all(spark, d)), "worker").crossJoin(F.broadcast(total)).select("worker", F.round(F.col("u") * F.col("rows") / (10 * F.col("n")), 9).alias("h"))
+
+
 # --- matrices and gradients ------------------------------------------------------------
 
 _COLS = ["l_quantity", "l_extendedprice", "l_discount", "l_tax", "p_size", "p_retailprice"]
@@ -383,12 +434,17 @@ o AS (SELECT num, den, t, comm_ms + 10 * comp_ms * den / num AS ms, row_number()
 c AS (SELECT num, den, t, ms FROM o WHERE w = (num * {N} + den - 1) // den)"""
 
 
-def coded(spark, d) -> DataFrame:
+def coded(spark, d, first: int | None = T) -> DataFrame:
     from pyspark.sql import Window
 
     rates = spark.createDataFrame(RATES, "num int, den int")
     cost = F.col("comm_ms") + 10 * F.col("comp_ms") * F.col("den") / F.col("num")
-    rows = trace(spark, d).where(F.col("t") <= T).crossJoin(F.broadcast(rates)).withColumn("ms", cost)
+    recordings = trace(spark, d)
+    if first is None:  # all iterations that every worker has
+        recordings = recordings.join(whole(spark, d).select("t"), "t")
+    else:
+        recordings = recordings.where(F.col("t") <= first)
+    rows = recordings.crossJoin(F.broadcast(rates)).withColumn("ms", cost)
     rank = F.row_number().over(Window.partitionBy("num", "den", "t").orderBy("ms", "worker"))
     return rows.withColumn("w", rank).where(F.col("w") == F.ceil(F.col("num") * N / F.col("den"))).select("num", "den", "t", "ms")
 
@@ -404,6 +460,19 @@ def coded_sweep(spark, d):
     return coded(spark, d).groupBy("num", "den").agg(F.round(F.sum("ms"), 3).alias("total_ms")).select(F.round(F.col("num") / F.col("den"), 6).alias("rate"), "total_ms")
 
 
+_CODED_ALL = _CODED.replace(f"WHERE t <= {T}", f"WHERE t IN (SELECT t FROM trace GROUP BY t HAVING count(*) = {N})")
+
+
+@query(f"WITH {_CODED_ALL} SELECT t, round(ms, 6) AS ms FROM c WHERE num = 45")
+def coded_latency_all(spark, d):
+    return coded(spark, d, None).where("num = 45").select("t", *r6("ms"))
+
+
+@query(f"WITH {_CODED_ALL} SELECT round(num / den, 6) AS rate, round(sum(ms), 3) AS total_ms FROM c GROUP BY num, den")
+def coded_sweep_all(spark, d):
+    return coded(spark, d, None).groupBy("num", "den").agg(F.round(F.sum("ms"), 3).alias("total_ms")).select(F.round(F.col("num") / F.col("den"), 6).alias("rate"), "total_ms")
+
+
 # --- whole runs (beyond SQL; held against NumPy loops and known orderings in the tests) ----
 
 

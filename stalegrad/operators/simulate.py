@@ -54,6 +54,40 @@ def recurrence(latency: np.ndarray, w: int, margin: float = 0.0, keep_tasks: boo
     return Schedule(ends, fresh, tasks)
 
 
+def stream(latencies: DataFrame, w: int, margin: float = 0.0) -> DataFrame:
+    """``recurrence`` over rows (t, x array by worker) of any number, in one ordered pass.
+
+    Each iteration needs the one before, so a single task walks along t; it keeps
+    the free times and the running tasks only.  Gives (t, end_ms, blind_ms, fresh,
+    staleness of the results that arrived in t); ``blind_ms`` sums the one-shot
+    order statistics.
+    """
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        free, now, blind, step, running = None, 0.0, 0.0, 0, []
+        for batch in batches:
+            out = []
+            for t, x in zip(batch["t"], batch["x"], strict=True):
+                x = np.asarray(x)
+                free = np.zeros(len(x)) if free is None else free
+                begin = np.maximum(now, free)
+                done = begin + x
+                end = step_end(now, np.partition(done, w - 1)[w - 1], margin)
+                hit = done <= end
+                kept = (begin < end) | hit
+                running += [(finish, step) for finish in done[kept].tolist()]
+                came = [step - version for finish, version in running if finish <= end]
+                running = [task for task in running if task[0] > end]
+                free = np.where(kept, done, free)
+                blind += float(np.partition(x, w - 1)[w - 1])
+                now, step = float(end), step + 1
+                out.append((t, now, blind, hit.tolist(), came))
+            yield pd.DataFrame(out, columns=["t", "end_ms", "blind_ms", "fresh", "staleness"])
+
+    ordered = latencies.select("t", "x").repartition(1).sortWithinPartitions("t")
+    return ordered.mapInPandas(run, "t int, end_ms double, blind_ms double, fresh array<boolean>, staleness array<int>")
+
+
 def heap(latency: np.ndarray, w: int, margin: float = 0.0) -> Schedule:
     """The same by an explicit event queue."""
     length, n = latency.shape
