@@ -213,6 +213,21 @@ def logistic_subgradients(spark, d):
     return out.select("lo", *[F.round(f"g{i}", 9).alias(f"g{i}") for i in range(7)])
 
 
+@query(f"""WITH {LOGIT}, blocks AS (SELECT w AS worker, (w - 1) * (SELECT count(*) FROM m) // {N} + 1 AS first_row, w * (SELECT count(*) FROM m) // {N} AS last_row FROM range(1, {N + 1}) AS r(w)),
+pieces AS (SELECT {_PIECE} AS lo, w.first_row - 1 + k * (w.last_row - w.first_row + 1) // 10 AS hi FROM blocks w, range(1, 11) AS r(k))
+SELECT lo, {', '.join(f'round(sum(-label / (1 + exp(label * ({_Z}))) / n * x{i}), 9) AS g{i}' for i in range(7))} FROM m JOIN pieces ON sample_idx BETWEEN lo AND hi GROUP BY lo""")
+def logistic_subgradients_all(spark, d):
+    """All ten pieces of every worker at a fixed iterate, in one job."""
+    m = logit(spark, d, keep=True)
+    n = m.count()
+    tasks = []
+    for w in range(1, N + 1):
+        lo, hi = P.sub_bounds(n, N, w)
+        tasks += [(lo - 1 + a, lo - 1 + b) for a, b in (P.sub_bounds(hi - lo + 1, 10, k) for k in range(1, 11))]
+    out = G.ExpressionKernel(m, n).frame(tasks, np.array(FIXED)[:, None])
+    return out.select("lo", *[F.round(f"g{i}", 9).alias(f"g{i}") for i in range(7)])
+
+
 _GZ = " + ".join(f"v{i} * x{i}" for i in range(7))
 
 

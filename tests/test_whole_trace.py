@@ -5,6 +5,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
+from stalegrad.catalog import latency_queries
 from stalegrad.catalog import optimiser_queries as Q
 from stalegrad.operators import simulate
 
@@ -42,3 +43,25 @@ def test_gap_and_contribution(spark, sf, latency):
 
 def test_coded_rows(spark, sf, latency):
     assert Q.coded_latency_all(spark, sf).count() == len(latency)
+
+
+def test_all_pieces_sum_to_the_gradient(spark, sf):
+    rows = Q.logistic_subgradients_all(spark, sf).collect()
+    assert len(rows) == 10 * Q.N
+    m = Q.logit(spark, sf)
+    n = m.count()
+    whole = Q.G.ExpressionKernel(m, n).parts(None, [(1, n)], np.array(Q.FIXED)[:, None])[0][:, 0]
+    assert np.allclose([sum(r[f"g{i}"] for r in rows) for i in range(7)], whole, atol=1e-6)
+
+
+def test_profile_of_every_event(spark, sf):
+    got = latency_queries.stats_asof_all(spark, sf).collect()
+    own = {r.event_id: (r.n_win, r.sum_hundredths) for r in latency_queries.moving_profile(spark, sf).collect()}
+    assert {r.event_id: (r.n_win, r.sum_hundredths) for r in got} == own and len(got) == len(own)
+
+
+def test_never_fastest_of_any_iteration(spark, sf):
+    best: dict = {}
+    for r in Q.trace(spark, sf).collect():
+        best[r.t] = min(best.get(r.t, (float("inf"), 0)), (r.round_trip_ms, r.worker))
+    assert {r.worker for r in latency_queries.never_fresh_workers_all(spark, sf).collect()} == set(range(1, Q.N + 1)) - {w for _, w in best.values()}
