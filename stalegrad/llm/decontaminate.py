@@ -36,7 +36,7 @@ from stalegrad.llm.kernels import U64, blocks, mix, word_codes, word_spans
 
 SPAN = 10
 #: The counted positions of each mask.
-MASKS = ("1111011000", "1101100101", "0110010111", "1011000111", "1110101001")
+MASKS = ("1111011000", "1101100101", "0110010111", "1011000111", "1110101001", "0001101111")
 MIN_TOKENS, PERCENT = 13, 80
 _FILTER = 1 << 22
 

@@ -73,3 +73,10 @@ def test_odd_rows_and_stage(spark):
     assert d.leaks(cases.empty(spark), items).count() == 0
     none = spark.createDataFrame([], "item_id long, text string")
     assert d.leaks(docs, none).count() == 0 and d.drop_leaks(docs, none).count() == docs.count()
+
+
+def test_every_placing_meets_a_mask():
+    for length in range(13, 26):  # a longer stretch holds one of these with the same share
+        places = [sum(1 << (o + j) for j, c in enumerate(m) if c == "1") for m in d.MASKS for o in range(length - d.SPAN + 1)]
+        missed = [c for c in combinations(range(length), length * (100 - d.PERCENT) // 100) if all(p & sum(1 << x for x in c) for p in places)]
+        assert not missed, (length, missed)
