@@ -92,9 +92,12 @@ def _sets(column: pa.Array, size: int) -> Iterator[tuple[int, np.ndarray]]:
             yield lo + r, shingle_set(codes[first[r] : first[r + 1]], size)
 
 
-def rows_for(percent: int) -> int:
-    """Rows a band: more where the threshold leaves room for it."""
-    return 7 if percent >= 85 else 5
+def rows_for(percent: int, bands: int = BANDS) -> int:
+    """Rows a band: as many as leave a pair at the threshold unseen with 1e-8 at most, up to 7 (from 85 percent) or 5."""
+    for rows in range(7 if percent >= 85 else 5, 0, -1):
+        if (1 - (percent / 100) ** rows) ** bands <= 1e-8:
+            return rows
+    raise ValueError(f"{bands} bands cannot serve a threshold of {percent} percent")
 
 
 def features(docs: DataFrame, size: int, bands: int, rows: int) -> DataFrame:
@@ -240,7 +243,7 @@ def components(edges: DataFrame) -> DataFrame:
 
 def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: int = BANDS, rows: int | None = None, block: int = BLOCK) -> DataFrame:
     """doc_id, n_shingles, component_id, kept for every row of ``docs``."""
-    feats = written(features(docs, size, bands, rows or rows_for(percent)), "minhash")
+    feats = written(features(docs, size, bands, rows or rows_for(percent, bands)), "minhash")
     full = feats.where("set_key IS NOT NULL AND doc_id IS NOT NULL")
     # aggregates that a join meets are written first: two plain shuffles let it split a hot key
     classes = written(full.groupBy("set_key").agg(F.min("doc_id").alias("rep")), "classes")

@@ -2,6 +2,7 @@ import random
 import re
 
 import numpy as np
+import pytest
 
 from stalegrad.llm import minhash_dedup as m
 from tests.llm import cases
@@ -93,3 +94,11 @@ def test_signature_estimates_jaccard():
     x, y = a, np.concatenate((a[250:], b))  # 750 of 1250 shared
     share = (m.signature(x, 250) == m.signature(y, 250)).mean()
     assert abs(share - 0.6) < 0.1
+
+
+def test_rows_keep_pairs_at_every_threshold():
+    assert (m.rows_for(80), m.rows_for(85)) == (5, 7)
+    for percent in range(31, 101):
+        assert (1 - (percent / 100) ** m.rows_for(percent)) ** m.BANDS <= 1e-8
+    with pytest.raises(ValueError):
+        m.rows_for(30)
