@@ -10,9 +10,17 @@ The fit uses a bounded sample, the documented parameter ``max_rows`` (and at mos
 ``max_bytes`` of text): distinct pairs of text and language by hash order, so
 copies take one place and the sample grows with the table until the bound, with
 places for every language; a text that does not fit is passed over.  A fifth of
-each language's sample is held back from the training to fit the temperature of the softmax and the rejection threshold:
-the confidence that all but ``reject_share`` of rightly labelled texts exceed,
-of which only the share ``slack`` above chance is asked, so that clean short texts stay.
+each language's sample is held back from the training to fit the temperature of the softmax and the rejection.
+
+Beside the languages the softmax has one class for text of no learned language.
+Its training texts are pieces of the others with their letters drawn anew, half of
+them from the piece itself and half evenly from all letters, so the parts of words
+that no language has speak for it.  A text is rejected if the log odds that it is
+of any learned language lie below a threshold.  That threshold is calibrated
+on the held-back fifth by length, as a short text says less: for pieces of 1, 3, 7,
+15, ... bytes it lies half-way between what all but ``reject_share`` of the pieces
+reach and what all but ``pass_share`` of their scrambled forms stay under; where the
+two overlap the first decides, so clean short texts stay.
 
 Edge cases: null texts and texts without a letter get ``und``, score 0 and are
 rejected; null languages are not learned from; with no labelled row at all every
@@ -35,6 +43,7 @@ from stalegrad.llm.kernels import U64, blocks
 
 BUCKETS = 1 << 15
 UNDETERMINED = "und"
+NEGATIVE_BYTES = 1 << 10
 
 
 def _folded(data: np.ndarray) -> np.ndarray:
@@ -59,13 +68,13 @@ def subwords(data: np.ndarray) -> np.ndarray:
 
 @dataclass
 class Model:
-    """``scores``: a row for each bucket, a column for each language; logits are scaled by ``sharpness``."""
+    """``scores``: a row for each bucket, a column for each language and one for text of none; logits are scaled by ``sharpness``."""
 
     languages: list[str]
     scores: np.ndarray
     bias: np.ndarray
     sharpness: float = 1.0
-    threshold: float = 0.0
+    thresholds: tuple[float, ...] = ()  # by the power of two that the subwords reach; longer texts have the last one
 
     def logits(self, data: np.ndarray) -> np.ndarray:
         at = subwords(data)
@@ -75,8 +84,21 @@ class Model:
         total = counts @ self.scores if counts is not None else self.scores[at].sum(axis=0)
         return total / len(at) + self.bias
 
+    def judge(self, data: np.ndarray) -> tuple[np.ndarray, float]:
+        """The probability of each language if it is one of them, and the log odds that it is one of them."""
+        z = self.logits(data) * self.sharpness
+        top = z[:-1].max()
+        p = np.exp(z[:-1] - top)
+        return p / p.sum(), float(top + np.log(p.sum()) - z[-1])
+
     def probabilities(self, data: np.ndarray) -> np.ndarray:
-        return _softmax(self.logits(data)[None] * self.sharpness)[0]
+        return self.judge(data)[0]
+
+    def threshold(self, size: int) -> float:
+        """What the log odds of being of a learned language must reach for a text of ``size`` bytes."""
+        if not self.thresholds:
+            return -np.inf
+        return self.thresholds[min(max(1, size).bit_length(), len(self.thresholds)) - 1]
 
 
 def _softmax(z: np.ndarray) -> np.ndarray:
@@ -84,23 +106,30 @@ def _softmax(z: np.ndarray) -> np.ndarray:
     return e / e.sum(axis=1, keepdims=True)
 
 
-def train(texts: list[bytes], labels: list[str], width: int = 16, epochs: int = 10, rate: float = 5.0, batch: int = 8, seed: int = 5, reject_share: float = 0.001, slack: float = 0.25) -> Model:
+def train(texts: list[bytes], labels: list[str], width: int = 16, epochs: int = 10, rate: float = 5.0, batch: int = 8, seed: int = 5, reject_share: float = 0.01, pass_share: float = 0.01) -> Model:
     """Stochastic gradient descent on the cross-entropy, then calibration on the held-back fifth."""
     languages = sorted(set(labels))
     if not languages:
-        return Model([], np.zeros((BUCKETS, 0)), np.zeros(0))
+        return Model([], np.zeros((BUCKETS, 1)), np.zeros(1))
     rng = np.random.default_rng(seed)
+    none = len(languages)
     target = np.array([languages.index(x) for x in labels])
-    features = []
-    for t in texts:
-        at, n = np.unique(subwords(np.frombuffer(t, dtype=np.uint8)), return_counts=True)
-        features.append((at, n / max(1, n.sum())))
+    data = [np.frombuffer(t, dtype=np.uint8) for t in texts]
     order = rng.permutation(len(texts))
-    each = [order[target[order] == k] for k in range(len(languages))]
+    each = [order[target[order] == k] for k in range(none)]
     held = np.concatenate([rows[: len(rows) // 5] for rows in each])  # so that every language is trained on
     fit = np.concatenate([rows[len(rows) // 5 :] for rows in each])
+    letters = _letters(data[i] for i in fit)
+    if len(letters):  # one scrambled piece for every second text
+        rest = [_scrambled(_piece(data[i], NEGATIVE_BYTES, rng), letters, rng) for i in fit[::2]]
+        fit = np.concatenate((fit, np.arange(len(data), len(data) + len(rest))))
+        data, target = data + rest, np.concatenate((target, np.full(len(rest), none)))
+    features = []
+    for own in data:
+        at, n = np.unique(subwords(own), return_counts=True)
+        features.append((at, n / max(1, n.sum())))
     vectors = rng.uniform(-1, 1, (BUCKETS, width)) / width
-    layer, bias = np.zeros((width, len(languages))), np.zeros(len(languages))
+    layer, bias = np.zeros((width, none + 1)), np.zeros(none + 1)
     steps, done = max(1, epochs * -(-len(fit) // batch)), 0
     for _ in range(epochs):
         fit = rng.permutation(fit)
@@ -122,17 +151,57 @@ def train(texts: list[bytes], labels: list[str], width: int = 16, epochs: int =
     check = held if len(held) else order
     logits = np.stack([w @ model.scores[at] + bias for at, w in (features[i] for i in check)])
     grid = np.exp(np.linspace(np.log(0.25), np.log(16), 40))
-    loss = [-np.log(np.maximum(_softmax(logits * g)[np.arange(len(check)), target[check]], 1e-12)).mean() for g in grid]
+    rows, doubt = np.arange(len(check)), 1 / (len(check) + 2)  # no finite check makes a text certain
+    loss = []
+    for g in grid:
+        p = np.maximum(_softmax(logits * g), 1e-12)
+        loss.append(-((1 - doubt) * np.log(p[rows, target[check]]) + doubt * np.log(p).mean(axis=1)).mean())
     model.sharpness = float(grid[int(np.argmin(loss))])
-    sure = _softmax(logits * model.sharpness)
-    right = sure.argmax(axis=1) == target[check]
-    if right.any() and len(languages) > 1:
-        least = np.quantile(sure.max(axis=1)[right], reject_share)
-        chance = 1 / len(languages)
-        model.threshold = float(chance + (least - chance) * slack)
+    if len(letters):
+        model.thresholds = _thresholds(model, [data[i] for i in check], letters, rng, reject_share, pass_share)
     return model
 
 
+def _letters(texts) -> np.ndarray:
+    """The bytes that stand inside words, each once."""
+    seen = np.zeros(256, dtype=bool)
+    for t in texts:
+        seen[_folded(t)] = True
+    seen[32] = False
+    return np.flatnonzero(seen).astype(np.uint8)
+
+
+def _piece(text: np.ndarray, size: int, rng: np.random.Generator) -> np.ndarray:
+    at = int(rng.integers(0, max(1, len(text) - size + 1)))
+    return text[at : at + size]
+
+
+def _scrambled(piece: np.ndarray, letters: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """The piece with its letters (and bytes above ASCII) shuffled, or drawn evenly from ``letters``."""
+    out = _folded(piece)
+    inside = np.flatnonzero(out != 32)
+    out[inside] = rng.permutation(out[inside]) if rng.random() < 0.5 else rng.choice(letters, len(inside))
+    return out
+
+
+def _thresholds(model: Model, held: list[np.ndarray], letters: np.ndarray, rng: np.random.Generator, reject_share: float, pass_share: float) -> tuple[float, ...]:
+    """By power of two of the size: what held-back pieces reach and scrambled ones do not."""
+    out: list[float] = []
+    for power in range(1, 1 + max(map(len, held), default=0).bit_length()):
+        size = (1 << power) - 1
+        long_enough = [t for t in held if len(t) >= size]
+        if not long_enough:
+            break
+        known, foreign = [], []
+        for i in range(max(50, min(400, (1 << 21) // size))):
+            piece = _piece(long_enough[i % len(long_enough)], size, rng)
+            known.append(model.judge(piece)[1])
+            foreign.append(model.judge(_scrambled(piece, letters, rng))[1])
+        least, most = float(np.quantile(known, reject_share)), float(np.quantile(foreign, 1 - pass_share))
+        out.append((least + most) / 2 if most < least else least)
+    return tuple(out)
+
+
 def _chosen(keys: list, max_rows: int, max_bytes: int) -> list:
     """The rows of ``keys`` that fit, in order; texts above a sixteenth of the room wait until the others are in."""
     room, taken = max_bytes, []
@@ -193,11 +262,12 @@ def predict(docs: DataFrame, model: Model, carry: list[str], out: tuple[str, str
                         scores.append(0.0)
                         rejected.append(True)
                         continue
-                    p = model.probabilities(data[offs[r] : offs[r + 1]])
+                    own = data[offs[r] : offs[r + 1]]
+                    p, known = model.judge(own)
                     k = int(p.argmax())
                     langs.append(model.languages[k])
                     scores.append(float(p[k]))
-                    rejected.append(bool(p[k] < model.threshold))
+                    rejected.append(known < model.threshold(len(own)))
             yield pa.RecordBatch.from_arrays([*batch.columns[: len(names)], pa.array(langs, pa.string()), pa.array(scores, pa.float64()), pa.array(rejected, pa.bool_())], names=[*names, "lang_pred", "score", "rejected"])
 
     fields = ", ".join([*(f"{k} {t}" for k, (_, t) in zip(names, picked.dtypes, strict=False)), "lang_pred string", "score double", "rejected boolean"])
