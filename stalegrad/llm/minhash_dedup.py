@@ -1,8 +1,9 @@
 """Near duplicates by circulant MinHash, banding and exact Jaccard.
 
-Two permutations of a fixed universe make all coordinates of a signature: the
-first scatters the shingles, the second is read at places shifted circularly by
-0, 1, 2, ...  Doubling the second permutation once turns the K values of a
+Two permutations of a fixed universe of 2**24 places make all coordinates of a
+signature: the first scatters the shingles, the second is read at places shifted
+circularly by 0, 1, 2, ...  (Texts of many million distinct shingles fill that
+universe; they then meet more candidates, which the exact check sorts out.)  Doubling the second permutation once turns the K values of a
 shingle into K neighbours in memory, so a signature is a minimum over rows of
 one sliding view.
 
@@ -16,7 +17,7 @@ Equal sets are one class from the start, however many rows share them.  In each
 band bucket all sets are first compared with the one of the smallest id, which
 joins most groups at the cost of a star.  A bucket whose sets then still lie in
 several components is compared wholly, but inside tasks: its sets are dealt into
-blocks of bounded bytes, each pair of blocks meets in one task, and only links
+blocks of bounded bytes and sets, each pair of blocks meets in one task, and only links
 that join two components leave it.  Buckets with the same members are compared
 once.  So no link between different sets is lost, and no pair that is not a link
 ever becomes a row.
@@ -37,21 +38,34 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from stalegrad.llm.common import written
+from stalegrad.llm.common import fresh, written
 from stalegrad.llm.kernels import LOWER, U64, blocks, mix, word_codes, word_spans
 
-UNIVERSE = 1 << 21
+UNIVERSE_BITS = 24
 BANDS = 50
 BLOCK = 1 << 20
+BLOCK_SETS = 1 << 10
+
+
+#: Odd multipliers of the two permutations.
+SCATTER, SHIFTED = (0x9E3779B1, 0x85EBCA6B, 0xC2B2AE35), (0x27D4EB2F, 0x165667B1, 0xD3A2646D)
+
+
+def permuted(x: np.ndarray, multipliers: tuple[int, ...]) -> np.ndarray:
+    """A permutation of 0 .. 2**UNIVERSE_BITS - 1: each round multiplies by an odd number and folds the upper half down."""
+    mask = np.uint32((1 << UNIVERSE_BITS) - 1)
+    x = x.astype(np.uint32) & mask
+    for m in multipliers:
+        x = (x * np.uint32(m)) & mask
+        x ^= x >> np.uint32(UNIVERSE_BITS // 2)
+    return x
 
 
 @lru_cache(maxsize=1)
-def permutations(width: int) -> tuple[np.ndarray, np.ndarray]:
-    """The scattering permutation, and a view whose row x holds the shifted one at x, x+1, ..."""
-    rng = np.random.default_rng(20_011)
-    first = rng.permutation(UNIVERSE).astype(np.uint32)
-    second = rng.permutation(UNIVERSE).astype(np.uint32)
-    return first, np.lib.stride_tricks.sliding_window_view(np.concatenate((second, second[: width - 1])), width)
+def shifted_rows(width: int) -> np.ndarray:
+    """A view whose row x holds the second permutation at x, x+1, ... (circularly)."""
+    second = permuted(np.arange(1 << UNIVERSE_BITS, dtype=np.uint32), SHIFTED)
+    return np.lib.stride_tricks.sliding_window_view(np.concatenate((second, second[: width - 1])), width)
 
 
 def shingle_set(codes: np.ndarray, size: int) -> np.ndarray:
@@ -67,8 +81,8 @@ def shingle_set(codes: np.ndarray, size: int) -> np.ndarray:
 
 
 def signature(shingles: np.ndarray, width: int) -> np.ndarray:
-    first, rows = permutations(width)
-    at = first[(shingles & U64(UNIVERSE - 1)).astype(np.int64)]
+    rows = shifted_rows(width)
+    at = permuted(shingles & U64((1 << UNIVERSE_BITS) - 1), SCATTER)
     best = rows[at[:4096]].min(axis=0)
     for i in range(4096, len(at), 4096):
         best = np.minimum(best, rows[at[i : i + 4096]].min(axis=0))
@@ -272,7 +286,8 @@ def near_duplicates(docs: DataFrame, size: int = 5, percent: int = 80, bands: in
     owned = members.join(first.withColumnRenamed("id", "rep"), "rep", "left").select("bucket", "rep", "set_key", "n", F.coalesce("component", "rep").alias("component"))
     open_ = owned.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi"), F.count(F.lit(1)).alias("m"), F.sum(F.xxhash64("set_key").cast("decimal(38,0)")).alias("who"), F.sum("n").alias("load")).where("lo < hi")
     once = open_.groupBy("m", "who", "load", "lo", "hi").agg(F.min("bucket").alias("bucket"))  # equal members: one bucket stands for all
-    dealt = once.select("bucket", F.ceil(F.col("load") * 8 / block).cast("int").alias("blocks"), (F.col("load") * 8).alias("bytes"))
+    pieces = F.greatest(F.ceil(F.col("load") * 8 / block), F.ceil(F.col("m") / BLOCK_SETS)).cast("int")  # bytes and sets a block are bounded
+    dealt = once.select("bucket", pieces.alias("blocks"), (F.col("load") * 8).alias("bytes"))
     more = _compared(written(owned.join(written(dealt, "dealt"), "bucket"), "open"), sets, percent, block)
 
     final = components(links.unionByName(more).unionByName(same))
@@ -287,5 +302,6 @@ def drop_near(docs: DataFrame, size: int = 5, percent: int = 80) -> DataFrame:
 
     Rows that repeat an id stay together; exact copies are another operator's work.
     """
-    gone = near_duplicates(docs, size, percent).where("NOT kept").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id").cast("long") == F.col("_gone"), "left_anti")
+    name = fresh(docs, "_gone")
+    gone = near_duplicates(docs, size, percent).where("NOT kept").select(F.col("doc_id").alias(name)).distinct()
+    return docs.join(gone, F.col("doc_id").cast("long") == F.col(name), "left_anti")

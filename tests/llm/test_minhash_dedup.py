@@ -102,3 +102,31 @@ def test_rows_keep_pairs_at_every_threshold():
         assert (1 - (percent / 100) ** m.rows_for(percent)) ** m.BANDS <= 1e-8
     with pytest.raises(ValueError):
         m.rows_for(30)
+
+
+def test_permutations_are_permutations(monkeypatch):
+    monkeypatch.setattr(m, "UNIVERSE_BITS", 12)
+    for multipliers in (m.SCATTER, m.SHIFTED):
+        assert sorted(m.permuted(np.arange(1 << 12), multipliers).tolist()) == list(range(1 << 12))
+
+
+def test_unrelated_very_long_sets_share_no_band():
+    rng = np.random.default_rng(1)
+    a, b = (rng.integers(0, 2**63, 1_000_000, dtype=np.uint64) for _ in range(2))
+    assert not (m.band_keys(a, m.BANDS, 7) == m.band_keys(b, m.BANDS, 7)).any()
+
+
+def test_blocks_are_bounded_by_sets_too(spark, monkeypatch):
+    monkeypatch.setattr(m, "BLOCK_SETS", 8)
+    r, base, rows = random.Random(5), cases.words(5, 40, 5000), []
+    for i in range(50):
+        w = list(base)
+        for _ in range(r.choice([1, 2, 3])):
+            w[r.randrange(40)] = f"z{r.randrange(30)}"
+        rows.append((i, " ".join(w)))
+    check(spark, rows, 3, 85)
+
+
+def test_clashing_columns(spark):
+    docs = cases.frame(spark, cases.odd_rows()).withColumnsRenamed({"lang": "_gone", "source": "kept", "n_chars": "set_key"})
+    assert m.drop_near(docs).columns == docs.columns
