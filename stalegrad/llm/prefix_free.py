@@ -115,11 +115,38 @@ def suffix_order(data: np.ndarray, offs: np.ndarray) -> np.ndarray:
     return np.argsort(suffix_keys(data, offs), kind="stable")
 
 
+def common_prefix(data: np.ndarray, a: np.ndarray, b: np.ndarray, width: int) -> np.ndarray:
+    """Whether the ``width`` bytes at a and at b are the same, for pairs sorted by a.
+
+    Neighbouring places mostly have neighbouring partners, so runs of pairs with
+    one distance are compared once, byte by byte: a pair agrees if no byte of its
+    window differs.
+    """
+    if not len(a):
+        return np.zeros(0, dtype=bool)
+    cut = np.concatenate(([True], (a[1:] != a[:-1] + 1) | (b[1:] != b[:-1] + 1)))
+    first = np.flatnonzero(cut)
+    count = np.diff(np.append(first, len(a)))
+    span = count + width - 1  # bytes that a run of pairs looks at
+    base = np.concatenate(([0], np.cumsum(span)))
+    out = np.empty(len(a), dtype=bool)
+    for lo in range(0, len(first), 1 << 12):  # some thousand runs at a time
+        hi = min(lo + (1 << 12), len(first))
+        inside = np.arange(base[hi] - base[lo]) - np.repeat(base[lo:hi] - base[lo], span[lo:hi])
+        differ = data[np.repeat(a[first[lo:hi]], span[lo:hi]) + inside] != data[np.repeat(b[first[lo:hi]], span[lo:hi]) + inside]
+        seen = np.concatenate(([0], np.cumsum(differ)))
+        pair = np.arange(first[lo], first[hi - 1] + count[hi - 1])
+        at = np.repeat(base[lo:hi] - base[lo], count[lo:hi]) + pair - np.repeat(first[lo:hi], count[lo:hi])
+        out[pair] = seen[at + width] == seen[at]
+    return out
+
+
 def repeated_starts(data: np.ndarray, offs: np.ndarray, width: int) -> np.ndarray:
     """True at every place whose next ``width`` bytes (inside its string) also start elsewhere.
 
     In suffix order the nearest relative of a suffix is a neighbour, so only
-    neighbours are compared.
+    neighbours are compared, by their bytes; a hash of the window passes over
+    neighbours that differ anyway.
     """
     out = np.zeros(len(data), dtype=bool)
     if len(data) < width:
@@ -130,7 +157,11 @@ def repeated_starts(data: np.ndarray, offs: np.ndarray, width: int) -> np.ndarra
         return out
     order = starts[np.argsort(suffix_keys(data, offs, width, starts))]
     prints = windows_hash(byte_codes(0)[data], width)[order]
-    same = prints[1:] == prints[:-1]
-    out[order[1:][same]] = True
-    out[order[:-1][same]] = True
+    same = np.flatnonzero(prints[1:] == prints[:-1])
+    left, right = order[same], order[same + 1]
+    by_place = np.argsort(left)
+    left, right = left[by_place], right[by_place]
+    twins = common_prefix(data, left, right, width)
+    out[left[twins]] = True
+    out[right[twins]] = True
     return out

@@ -5,7 +5,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from stalegrad.llm.prefix_free import repeated_starts, suffix_order
+from stalegrad.llm.prefix_free import common_prefix, repeated_starts, suffix_order
 from stalegrad.llm.suffix_dedup import remove_repeats
 from tests.llm import cases
 
@@ -72,3 +72,16 @@ def test_suffix_order_and_twins_against_sorting():
         for width in (5, 40):
             count = Counter(x[:width] for x in suffixes if len(x) >= width)
             assert repeated_starts(data, offs, width).tolist() == [len(x) >= width and count[x[:width]] > 1 for x in suffixes]
+
+
+def test_common_prefix_is_of_bytes():
+    rng = np.random.default_rng(4)
+    data = np.concatenate([rng.integers(0, 2, 300), np.tile(rng.integers(0, 2, 40), 8)]).astype(np.uint8)
+    for width in (1, 7, 30):
+        last = len(data) - width
+        a = np.sort(rng.integers(0, last, 5000))
+        b = np.where(rng.random(5000) < 0.5, np.minimum(a + 40, last), rng.integers(0, last, 5000))
+        want = [bytes(data[i : i + width]) == bytes(data[j : j + width]) for i, j in zip(a, b, strict=True)]
+        assert common_prefix(data, a, b, width).tolist() == want
+        a = np.arange(last - 40)
+        assert common_prefix(data, a, a + 40, width).tolist() == [bytes(data[i : i + width]) == bytes(data[i + 40 : i + 40 + width]) for i in a]
