@@ -48,7 +48,7 @@ def test_substitutions_within_the_masks(spark):
     assert found == {(i, 7) for i, _ in docs} == brute(docs, [(7, " ".join(item))])
 
 
-def test_against_brute_force_in_blocks(spark):
+def test_against_brute_force_broadcast_and_joined(spark, monkeypatch):
     r = random.Random(4)
     items = [(k, " ".join(cases.words(k, r.choice([4, 9, 14, 30])))) for k in range(12)] + [(90, None), (91, ""), (92, "...")]
     docs = []
@@ -61,7 +61,13 @@ def test_against_brute_force_in_blocks(spark):
         docs.append((i, ", ".join(w + cases.words(2000 + i, 10))))
     want = brute(docs, items)
     assert leaks(spark, docs, items) == want and want
-    assert leaks(spark, docs, items, block_hashes=100) == want
+    left, right = cases.frame(spark, docs), spark.createDataFrame(items, "item_id long, text string")
+    for bits in (26, 10):  # a full bit table lets everything through, with the same rows
+        monkeypatch.setattr(d, "FILTER_BITS", bits)
+        assert {(r.doc_id, r.item_id) for r in d.leaks(left, right, block_hashes=100).collect()} == want
+    rows = sorted(map(tuple, d.leaks(left, right).collect()))
+    assert sorted(map(tuple, d.leaks(left, right, block_hashes=100).collect())) == rows
+    assert {r.doc_id for r in d.drop_leaks(left, right, block_hashes=100).collect()} == {i for i, _ in docs} - {i for i, _ in want}
 
 
 def test_odd_rows_and_stage(spark):
@@ -80,3 +86,12 @@ def test_every_placing_meets_a_mask():
         places = [sum(1 << (o + j) for j, c in enumerate(m) if c == "1") for m in d.MASKS for o in range(length - d.SPAN + 1)]
         missed = [c for c in combinations(range(length), length * (100 - d.PERCENT) // 100) if all(p & sum(1 << x for x in c) for p in places)]
         assert not missed, (length, missed)
+
+
+def test_repetitive_text_against_repetitive_item(spark):
+    docs = [(1, "la " * 3000), (2, "la " * 12), (3, " ".join(cases.words(3, 50)))]
+    assert leaks(spark, docs, [(5, "la " * 400)]) == {(1, 5)}
+    block = d.build_block([(5, "la " * 400)])
+    doc = next(t for _, t in d.token_hashes(d.pa.array(["la " * 3000])))
+    assert len(d._diagonals(doc, block)) <= 3400
+    assert d.scan(doc, block, 13, 80)[0][4] == 400
