@@ -28,11 +28,22 @@ def written(df: DataFrame, name: str = "stage") -> DataFrame:
     rows uncompressed.
     """
     spark = df.sparkSession
-    path = f"{shared_folder(spark)}/{name}-{uuid.uuid4().hex}"
+    path = f"{_stages(spark)}/{name}-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def _stages(spark: SparkSession) -> str:
+    return f"{shared_folder(spark)}/stages-{spark.sparkContext.applicationId}"
+
+
+def clear_stages(spark: SparkSession) -> None:
+    """Removes what ``written`` has left for this application; call it once the results are stored elsewhere."""
+    context = spark.sparkContext
+    path = context._jvm.org.apache.hadoop.fs.Path(_stages(spark))
+    path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
+
+
 def fresh(df: DataFrame, name: str) -> str:
     """A column name near ``name`` that ``df`` does not have."""
     taken = {c.lower() for c in df.columns}

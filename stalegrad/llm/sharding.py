@@ -19,8 +19,9 @@ from __future__ import annotations
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.window import Window
 
-from stalegrad.llm.common import ranked, unit_hash
+from stalegrad.llm.common import fresh, ranked, unit_hash
 
 ROWS_PER_BUCKET = 2_000
 
@@ -63,14 +64,18 @@ def stratified_shards(docs: DataFrame, n_shards: int = 8, seed: int = 0) -> Data
 def write_shards(docs: DataFrame, path: str, n_shards: int = 8, seed: int = 0) -> None:
     """Writes whole rows of ``docs`` under ``path/shard=K``, each shard in slot order.
 
-    Rows meet their place on (doc_id, checksum, size); rows equal in all three
-    are copies of each other and take the places of the group in any order.
+    Rows meet their place on (doc_id, checksum, size, source); rows equal in all
+    of them are copies of each other and take the places of the group in any order.
+    Where ``docs`` has a column shard or slot, the new ones
+    get an underscore in front.
     """
-    mark = F.struct(F.col("doc_id").cast("long").alias("i"), F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")).alias("c"), (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long").alias("s"), F.coalesce(F.col("source"), F.lit("")).alias("o"))
-    places = stratified_shards(docs, n_shards, seed).select(F.struct(F.col("doc_id").alias("i"), F.col("text_crc32").alias("c"), F.col("size").alias("s"), F.coalesce(F.col("source"), F.lit("")).alias("o")).alias("_mark"), "shard", "slot")
-    from pyspark.sql.window import Window
-
-    here = Window.partitionBy("_mark").orderBy(F.lit(0))
-    left = docs.withColumn("_mark", mark).withColumn("_copy", F.row_number().over(here))
-    right = places.withColumn("_copy", F.row_number().over(Window.partitionBy("_mark").orderBy("shard", "slot")))
-    left.join(right, ["_mark", "_copy"]).drop("_mark", "_copy").repartitionByRange("shard", "slot").sortWithinPartitions("shard", "slot").write.partitionBy("shard").parquet(path)
+    shard, slot, mark, copy = (fresh(docs, c) for c in ("shard", "slot", "_mark", "_copy"))
+    parts = {"i": F.col("doc_id").cast("long"), "c": F.crc32(F.coalesce(F.col("text"), F.lit("")).cast("binary")), "s": (F.coalesce(F.octet_length("text"), F.lit(0)) + 1).cast("long"), "o": F.coalesce(F.col("source"), F.lit(""))}
+    left = docs.withColumn(mark, F.struct(*[c.alias(k) for k, c in parts.items()]))
+    places = stratified_shards(docs, n_shards, seed)
+    own = F.struct(F.col("doc_id").alias("i"), F.col("text_crc32").alias("c"), F.col("size").alias("s"), F.coalesce(F.col("source"), F.lit("")).alias("o"))
+    right = places.select(own.alias(mark), F.col("shard").alias(shard), F.col("slot").alias(slot))
+    left = left.withColumn(copy, F.row_number().over(Window.partitionBy(mark).orderBy(F.lit(0))))
+    right = right.withColumn(copy, F.row_number().over(Window.partitionBy(mark).orderBy(shard, slot)))
+    done = left.join(right, [mark, copy]).drop(mark, copy)
+    done.repartitionByRange(shard, slot).sortWithinPartitions(shard, slot).write.partitionBy(shard).parquet(path)

@@ -44,3 +44,10 @@ def test_written_shards_hold_whole_rows(spark, tmp_path):
     s.write_shards(docs, str(tmp_path / "out"), n_shards=4)
     back = spark.read.parquet(str(tmp_path / "out"))
     assert sorted(str(r.text) for r in back.collect()) == sorted(str(r.text) for r in docs.collect())
+
+
+def test_written_shards_bear_clashing_columns(spark, tmp_path):
+    docs = cases.frame(spark, cases.odd_rows()).withColumnsRenamed({"lang": "shard", "n_chars": "slot"}).withColumn("_mark", s.F.lit(1)).withColumn("_copy", s.F.lit("x"))
+    s.write_shards(docs, str(tmp_path / "out"), n_shards=4)
+    back = spark.read.parquet(str(tmp_path / "out"))
+    assert set(back.columns) == {*docs.columns, "_shard", "_slot"} and back.count() == docs.count()
