@@ -209,7 +209,7 @@ def logistic_subgradients(spark, d):
     for w in range(1, N + 1):
         lo, hi = P.sub_bounds(n, N, w)
         tasks += [(lo - 1 + a, lo - 1 + b) for a, b in (P.sub_bounds(hi - lo + 1, 10, k) for k in (1, 2, 3))]
-    out = G.ExpressionKernel(m, n).frame(tasks, np.array(FIXED)[:, None])
+    out = G.ExpressionKernel(m, n).frame(Logistic(n, 7), tasks, np.array(FIXED)[:, None])
     return out.select("lo", *[F.round(f"g{i}", 9).alias(f"g{i}") for i in range(7)])
 
 
@@ -224,7 +224,7 @@ def logistic_subgradients_all(spark, d):
     for w in range(1, N + 1):
         lo, hi = P.sub_bounds(n, N, w)
         tasks += [(lo - 1 + a, lo - 1 + b) for a, b in (P.sub_bounds(hi - lo + 1, 10, k) for k in range(1, 11))]
-    out = G.ExpressionKernel(m, n).frame(tasks, np.array(FIXED)[:, None])
+    out = G.ExpressionKernel(m, n).frame(Logistic(n, 7), tasks, np.array(FIXED)[:, None])
     return out.select("lo", *[F.round(f"g{i}", 9).alias(f"g{i}") for i in range(7)])
 
 

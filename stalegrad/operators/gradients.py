@@ -12,10 +12,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from stalegrad.functions.aggregates import vector_sum
+from stalegrad.functions.draws import uniform_np
+from stalegrad.operators.objectives import gram_schmidt
+
 #: Largest matrix (bytes as doubles) that may be collected into one process.
 LOCAL_LIMIT_BYTES = 64 << 20
 
@@ -75,13 +79,16 @@ def _ranges(tasks: list[tuple[int, int]]):
 
 
 class ExpressionKernel:
-    """Logistic subgradients by column expressions x0..x{d-1}, label."""
+    """Subgradients by column expressions over x0..x{d-1} and label; the objective supplies the row formula."""
 
     def __init__(self, matrix: DataFrame, n: int):
         self.matrix, self.n, self.cols = matrix, n, dense_columns(matrix)
 
-    def frame(self, tasks: list[tuple[int, int]], v: np.ndarray) -> DataFrame:
-        """(lo, g0, g1, ...): the sums of every interval of ``tasks`` (disjoint)."""
+    def products(self, v: np.ndarray) -> list:
+        return [sum((F.col(x) * float(v[i, c]) for i, x in enumerate(self.cols)), F.lit(0.0)) for c in range(v.shape[1])]
+
+    def frame(self, objective, tasks: list[tuple[int, int]], v: np.ndarray) -> DataFrame:
+        """(lo, g0, g1, ...): the sums of every interval of ``tasks`` (disjoint); with k columns g{i}_{c}."""
         rows = self.matrix.where(_ranges(tasks))
         if len(tasks) <= 128:  # few: a plain expression, no job for a broadcast
             lo = F.coalesce(*[F.when(F.col("sample_idx").between(a, b), F.lit(a)) for a, b in tasks])
@@ -89,27 +96,58 @@ class ExpressionKernel:
         else:
             spans = self.matrix.sparkSession.createDataFrame([(int(a), int(b)) for a, b in tasks], "lo long, hi long")
             rows = rows.join(F.broadcast(spans), F.col("sample_idx").between(F.col("lo"), F.col("hi")))
-        z = sum((F.col(c) * float(v[i, 0]) for i, c in enumerate(self.cols)), F.lit(0.0))
-        pull = -F.col("label") / (1 + F.exp(F.col("label") * z)) / self.n
-        return rows.groupBy("lo").agg(*[F.sum(pull * F.col(c)).alias(f"g{i}") for i, c in enumerate(self.cols)])
+        pulls = objective.pull_columns(self.products(v), F.col("label"))
+        return rows.groupBy("lo").agg(*[F.sum(pull * F.col(x)).alias(_cell(i, c, len(pulls))) for i, x in enumerate(self.cols) for c, pull in enumerate(pulls)])
 
     def parts(self, objective, tasks, v):
-        found = {r["lo"]: np.array([r[f"g{i}"] for i in range(len(self.cols))])[:, None] for r in self.frame(tasks, v).collect()}
-        zero = np.zeros((len(self.cols), 1))
+        k = v.shape[1]
+        found = {r["lo"]: np.array([[r[_cell(i, c, k)] for c in range(k)] for i in range(len(self.cols))]) for r in self.frame(objective, tasks, v).collect()}
+        zero = np.zeros((len(self.cols), k))
         return [found.get(lo, zero) for lo, _ in tasks]
 
     def value(self, objective, v: np.ndarray) -> float:
-        z = sum((F.col(c) * float(v[i, 0]) for i, c in enumerate(self.cols)), F.lit(0.0))
-        margin = -F.col("label") * z
-        stable = F.greatest(margin, F.lit(0.0)) + F.log1p(F.exp(-F.abs(margin)))
-        return self.matrix.agg((F.sum(stable) / self.n).alias("loss")).first()["loss"] + objective.regulariser(v)
+        total = self.matrix.agg(F.sum(objective.value_column(self.products(v), F.col("label")))).first()[0]
+        return (total or 0.0) + objective.regulariser(v)
+
+    def hessian(self, objective, v: np.ndarray) -> np.ndarray:
+        """The sum of curvature times x x', one aggregate job."""
+        weight, d = objective.curvature_column(self.products(v), F.col("label")), len(self.cols)
+        got = self.matrix.agg(*[F.sum(weight * F.col(self.cols[i]) * F.col(self.cols[j])).alias(f"h{i}_{j}") for i in range(d) for j in range(i, d)]).first()
+        return np.array([[got[f"h{min(i, j)}_{max(i, j)}"] for j in range(d)] for i in range(d)])
+
+    def optimum(self, objective) -> float:
+        """Newton's method over the distributed rows."""
+        v = objective.start()
+        for _ in range(60):
+            grad = self.parts(objective, [(1, self.n)], v)[0] + objective.regulariser_grad(v)
+            step = np.linalg.solve(self.hessian(objective, v) + objective.lam * np.eye(len(self.cols)), grad)
+            v = v - step
+            if np.abs(step).max() < 1e-12:
+                break
+        return self.value(objective, v)
+
+
+def _cell(i: int, c: int, k: int) -> str:
+    return f"g{i}" if k == 1 else f"g{i}_{c}"
+
+
+def _batch_products(nz: pa.Array, v: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(column numbers, owning row of each, products with v) of a batch of sparse binary rows."""
+    cols = nz.flatten().to_numpy(zero_copy_only=False).astype(np.int64)
+    sizes = nz.value_lengths().fill_null(0).to_numpy(zero_copy_only=False).astype(np.int64)
+    owner = np.repeat(np.arange(len(sizes)), sizes)
+    return cols, owner, np.stack([np.bincount(owner, weights=v[cols, c], minlength=len(sizes)) for c in range(v.shape[1])], axis=1)
 
 
 class ArrowKernel:
-    """PCA subgradients of sparse binary rows (sample_idx, nz) by batches."""
+    """Subgradients of sparse binary rows (sample_idx, nz, and label if the objective has one) by batches."""
+
+    def __init__(self, matrix: DataFrame, d: int, n: int | None = None):
+        self.matrix, self.d, self.n = matrix, d, matrix.count() if n is None else n
 
-    def __init__(self, matrix: DataFrame, d: int):
-        self.matrix, self.d = matrix, d
+    def _rows(self, *names: str) -> DataFrame:
+        label = F.col("label").cast("double") if "label" in self.matrix.columns else F.lit(0.0)
+        return self.matrix.select(*names, "nz", label.alias("label"))
 
     def parts(self, objective, tasks, v):
         lows = np.array([lo for lo, _ in tasks])
@@ -119,45 +157,55 @@ class ArrowKernel:
         shared = self.matrix.sparkSession.sparkContext.broadcast(v)
         d, k = self.d, v.shape[1]
 
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             sums: dict[int, np.ndarray] = {}
             for batch in batches:
-                at = np.searchsorted(lows, batch["sample_idx"].to_numpy(), side="right") - 1
-                for j in np.unique(at[at >= 0]):
-                    rows = batch[(at == j) & (batch["sample_idx"].to_numpy() <= highs[j])]
-                    if not len(rows):
-                        continue
-                    sizes = rows["nz"].map(len).to_numpy()
-                    nz = np.concatenate(rows["nz"].to_list()).astype(np.int64)
-                    owner = np.repeat(np.arange(len(rows)), sizes)
-                    av = np.zeros((len(rows), k))
-                    np.add.at(av, owner, shared.value[nz])
-                    grad = sums.setdefault(int(j), np.zeros((d, k)))
-                    np.add.at(grad, nz, -av[owner])
-            for j, grad in sums.items():
-                yield pd.DataFrame({"lo": int(lows[j]), "grad": [grad.ravel()]})
-
-        def add(key: tuple[int], group: pd.DataFrame) -> pd.DataFrame:
-            return pd.DataFrame({"lo": [key[0]], "grad": [np.sum(np.stack(group["grad"].to_list()), axis=0)]})
-
-        partial = self.matrix.where(_ranges(tasks)).select("sample_idx", "nz").mapInPandas(run, "lo long, grad array<double>")
-        found = {r["lo"]: np.array(r["grad"]).reshape(d, k) for r in partial.groupBy("lo").applyInPandas(add, "lo long, grad array<double>").collect()}
+                index = batch.column("sample_idx").to_numpy()
+                cols, owner, z = _batch_products(batch.column("nz"), shared.value)
+                pull = objective.pull(z, batch.column("label").to_numpy())
+                at = np.searchsorted(lows, index, side="right") - 1
+                at[(at >= 0) & (index > highs[np.maximum(at, 0)])] = -1
+                for j in np.unique(at[at >= 0]).tolist():
+                    mine = at[owner] == j
+                    grad = sums.setdefault(j, np.zeros((d, k)))
+                    for c in range(k):
+                        grad[:, c] += np.bincount(cols[mine], weights=pull[owner[mine], c], minlength=d)
+            if sums:
+                yield pa.RecordBatch.from_arrays([pa.array([int(lows[j]) for j in sums], pa.int64()), pa.array([g.ravel() for g in sums.values()], pa.list_(pa.float64()))], names=["lo", "grad"])
+
+        partial = self._rows("sample_idx").where(_ranges(tasks)).mapInArrow(run, "lo long, grad array<double>")
+        found = {r["lo"]: np.array(r["total"]).reshape(d, k) for r in partial.groupBy("lo").agg(vector_sum("grad").alias("total")).collect()}
         shared.unpersist()
         return [found.get(lo, np.zeros((d, k))) for lo, _ in tasks]
 
     def value(self, objective, v):
         shared = self.matrix.sparkSession.sparkContext.broadcast(v)
 
-        def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in batches:
-                yield pd.DataFrame({"s": [float(sum((shared.value[np.asarray(nz, dtype=np.int64)].sum(axis=0) ** 2).sum() for nz in batch["nz"]))]})
-
-        total = self.matrix.select("nz").mapInPandas(run, "s double").agg(F.sum("s")).first()[0]
-        return -(total or 0.0) / objective.norm
-
-
-def choose_kernel(d: int, density: float, n: int) -> str:
+                _, _, z = _batch_products(batch.column("nz"), shared.value)
+                yield pa.RecordBatch.from_arrays([pa.array([float(objective.row_values(z, batch.column("label").to_numpy()).sum())])], names=["s"])
+
+        total = self._rows().mapInArrow(run, "s double").agg(F.sum("s")).first()[0]
+        return (total or 0.0) + objective.regulariser(v)
+
+    def optimum(self, objective, extra: int = 5, steps: int = 200) -> float:
+        """Subspace iteration with some further columns, one distributed job a step, until the value stands still."""
+        v = gram_schmidt(np.array([[uniform_np("optimum", i, c) - 0.5 for c in range(objective.k + extra)] for i in range(self.d)]))
+        best = 0.0
+        for _ in range(steps):
+            y = -self.parts(objective, [(1, self.n)], v)[0]
+            values, turn = np.linalg.eigh(v.T @ y)
+            now = -float(np.sort(values)[::-1][: objective.k].sum()) / objective.norm
+            v = gram_schmidt(y @ turn[:, ::-1])
+            if abs(now - best) < 1e-13:
+                break
+            best = now
+        return now
+
+
+def choose_kernel(d: int, density: float, n: int, limit: int | None = None) -> str:
     """``local`` behind the size check, expressions for few dense columns, batches otherwise."""
-    if n * d * 8 <= LOCAL_LIMIT_BYTES:
+    if n * d * 8 <= (LOCAL_LIMIT_BYTES if limit is None else limit):
         return "local"
     return "expression" if d <= 64 and density > 0.3 else "arrow"

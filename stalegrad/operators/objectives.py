@@ -5,6 +5,10 @@ from __future__ import annotations
 from dataclasses import dataclass
 
 import numpy as np
+from pyspark.sql import Column, DataFrame
+from pyspark.sql import functions as F
+
+from stalegrad.functions.draws import uniform_np
 
 
 def gram_schmidt(v: np.ndarray) -> np.ndarray:
@@ -13,34 +17,37 @@ def gram_schmidt(v: np.ndarray) -> np.ndarray:
     return q * np.where(np.diag(r) < 0, -1.0, 1.0)
 
 
+def distributed_gram_schmidt(rows: DataFrame, k: int) -> DataFrame:
+    """Orthonormal columns of a tall iterate (col, v array<double>) that never leaves the executors.
+
+    Only the k x k Gram matrix is collected; its Cholesky factor R gives V R^-1,
+    which has the same columns as Gram-Schmidt with a positive diagonal.
+    """
+    cells = [F.sum(F.col("v")[i] * F.col("v")[j]).alias(f"g{i}_{j}") for i in range(k) for j in range(i, k)]
+    got = rows.agg(*cells).first()
+    gram = np.array([[got[f"g{min(i, j)}_{max(i, j)}"] for j in range(k)] for i in range(k)], dtype=float)
+    inverse = np.linalg.inv(np.linalg.cholesky(gram).T)
+    turned = [sum((F.col("v")[i] * float(inverse[i, c]) for i in range(c + 1)), F.lit(0.0)) for c in range(k)]
+    return rows.select("col", F.array(*turned).alias("v"))
+
+
 def _softplus(z: np.ndarray) -> np.ndarray:
     return np.logaddexp(0.0, z)
 
 
-@dataclass
-class Logistic:
-    """Mean logistic loss with an L2 term on the whole iterate; the mean's 1/n is inside each part."""
-
-    n: int
-    d: int
-    lam: float | None = None
-    k: int = 1
+class _Linear:
+    """Objectives of the products z = x v: a part is x' pull(z, y), a value the sum of row values."""
 
-    def __post_init__(self):
-        self.lam = 1.0 / self.n if self.lam is None else self.lam
+    lam: float = 0.0
 
     def start(self, seed: int = 0) -> np.ndarray:
         return np.zeros((self.d, 1))
 
     def part(self, x: np.ndarray, y: np.ndarray, v: np.ndarray) -> np.ndarray:
-        margin = y * (x @ v[:, 0])
-        return (x.T @ (-y / (1 + np.exp(np.clip(margin, -700, 700)))) / self.n)[:, None]
-
-    def loss(self, x: np.ndarray, y: np.ndarray, v: np.ndarray) -> float:
-        return float(_softplus(-y * (x @ v[:, 0])).sum() / self.n)
+        return x.T @ self.pull(x @ v, y)
 
     def value(self, x, y, v) -> float:
-        return self.loss(x, y, v) + self.regulariser(v)
+        return float(self.row_values(x @ v, y).sum()) + self.regulariser(v)
 
     def regulariser(self, v: np.ndarray) -> float:
         return float(self.lam / 2 * (v * v).sum())
@@ -51,6 +58,40 @@ class Logistic:
     def project(self, v: np.ndarray) -> np.ndarray:
         return v
 
+
+@dataclass
+class Logistic(_Linear):
+    """Mean logistic loss with an L2 term on the whole iterate; the mean's 1/n is inside each part."""
+
+    n: int
+    d: int
+    lam: float | None = None
+    k: int = 1
+
+    def __post_init__(self):
+        self.lam = 1.0 / self.n if self.lam is None else self.lam
+
+    def pull(self, z: np.ndarray, y: np.ndarray) -> np.ndarray:
+        y = y[:, None]
+        return -y / (1 + np.exp(np.clip(y * z, -700, 700))) / self.n
+
+    def row_values(self, z: np.ndarray, y: np.ndarray) -> np.ndarray:
+        return _softplus(-y * z[:, 0]) / self.n
+
+    def pull_columns(self, z: list[Column], y: Column) -> list[Column]:
+        return [-y / (1 + F.exp(y * z[0])) / self.n]
+
+    def value_column(self, z: list[Column], y: Column) -> Column:
+        margin = -y * z[0]
+        return (F.greatest(margin, F.lit(0.0)) + F.log1p(F.exp(-F.abs(margin)))) / self.n
+
+    def curvature_column(self, z: list[Column], y: Column) -> Column:
+        share = 1 / (1 + F.exp(-z[0]))
+        return share * (1 - share) / self.n
+
+    def loss(self, x: np.ndarray, y: np.ndarray, v: np.ndarray) -> float:
+        return float(self.row_values(x @ v, y).sum())
+
     def optimum(self, x, y) -> float:
         """Newton's method; ``d`` is small."""
         v = self.start()
@@ -66,7 +107,7 @@ class Logistic:
 
 
 @dataclass
-class LeastSquares:
+class LeastSquares(_Linear):
     """Half the mean squared error with an L2 term."""
 
     n: int
@@ -74,20 +115,20 @@ class LeastSquares:
     lam: float = 0.0
     k: int = 1
 
-    def start(self, seed: int = 0) -> np.ndarray:
-        return np.zeros((self.d, 1))
+    def pull(self, z, y):
+        return (z - y[:, None]) / self.n
 
-    def part(self, x, y, v):
-        return (x.T @ (x @ v[:, 0] - y) / self.n)[:, None]
+    def row_values(self, z, y):
+        return (z[:, 0] - y) ** 2 / (2 * self.n)
 
-    def value(self, x, y, v) -> float:
-        return float(((x @ v[:, 0] - y) ** 2).sum() / (2 * self.n) + self.lam / 2 * (v * v).sum())
+    def pull_columns(self, z, y):
+        return [(z[0] - y) / self.n]
 
-    def regulariser_grad(self, v):
-        return self.lam * v
+    def value_column(self, z, y):
+        return (z[0] - y) * (z[0] - y) / (2 * self.n)
 
-    def project(self, v):
-        return v
+    def curvature_column(self, z, y):
+        return F.lit(1.0 / self.n)
 
     def optimum(self, x, y) -> float:
         v = np.linalg.solve(x.T @ x / self.n + self.lam * np.eye(self.d), x.T @ y / self.n)
@@ -95,10 +136,11 @@ class LeastSquares:
 
 
 @dataclass
-class PCA:
+class PCA(_Linear):
     """Top-k subspace: the gradient simplified under orthonormal columns, a power step at step size 1.
 
     The value is minus the explained share of variance, so a gap is the share lost.
+    The first iterate is made of hashed uniforms, the same for any engine.
     """
 
     n: int
@@ -107,13 +149,22 @@ class PCA:
     norm: float = 1.0  # squared Frobenius norm of the matrix
 
     def start(self, seed: int = 0) -> np.ndarray:
-        return gram_schmidt(np.random.default_rng([seed, 77]).standard_normal((self.d, self.k)))
+        return gram_schmidt(np.array([[uniform_np(seed, i, c) - 0.5 for c in range(self.k)] for i in range(self.d)]))
 
-    def part(self, x, y, v):
-        return -(x.T @ (x @ v))
+    def pull(self, z, y):
+        return -z
 
-    def value(self, x, y, v) -> float:
-        return -float(((x @ v) ** 2).sum()) / self.norm
+    def row_values(self, z, y):
+        return -(z * z).sum(axis=1) / self.norm
+
+    def pull_columns(self, z, y):
+        return [-c for c in z]
+
+    def value_column(self, z, y):
+        return -sum((c * c for c in z), F.lit(0.0)) / self.norm
+
+    def regulariser(self, v):
+        return 0.0
 
     def regulariser_grad(self, v):
         return v

@@ -1,12 +1,14 @@
 """The experiments on the given tables: problems, latencies, sweeps and ablations.
 
 Small matrices (checked size) are collected once, and the runs of a sweep are
-spread over executors, one group a run; ``spark_logistic`` is the form for
-matrices that stay distributed.
+spread over executors, one group a run; larger ones stay distributed and every
+run asks a Spark kernel for its subgradients.
 """
 
 from __future__ import annotations
 
+from concurrent.futures import ThreadPoolExecutor
+
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
@@ -35,15 +37,24 @@ def stats_of(spark: SparkSession, d: str, workers: int, ramp: float = RAMP, base
     return L.worker_stats(L.trace_from_events(load(spark, d, "events"), workers, base_ms, ramp)).orderBy("worker").toPandas()
 
 
-def problem(spark: SparkSession, d: str, kind: str, columns: int = 512):
-    """(kernel, objective, optimum) with the matrix in one process behind the size check."""
+def problem(spark: SparkSession, d: str, kind: str, columns: int = 512, limit: int | None = None):
+    """(kernel, objective, optimum): in one process behind the size check, else by the kernel that fits the matrix."""
+    limit = G.LOCAL_LIMIT_BYTES if limit is None else limit
     if kind == "logistic":
-        kernel = G.local_logistic(M.logit_matrix(load(spark, d, "lineitem"), load(spark, d, "part")))
-        objective = Logistic(kernel.n, kernel.x.shape[1])
+        matrix = M.logit_matrix(load(spark, d, "lineitem"), load(spark, d, "part"))
+        n, width, share = matrix.count(), len(G.dense_columns(matrix)), 1.0
+        objective = Logistic(n, width)
     else:
-        kernel = G.local_sparse(M.token_matrix(spark.read.parquet(f"{d}/documents.parquet"), columns), columns)
-        objective = PCA(kernel.n, columns, 3, float((kernel.x**2).sum()))
-    return kernel, objective, objective.optimum(kernel.x, kernel.y)
+        matrix = M.token_matrix(spark.read.parquet(f"{d}/documents.parquet"), columns)
+        n, filled = matrix.agg(F.count(F.lit(1)), F.sum(F.size("nz"))).first()
+        width, share = columns, (filled or 0) / max(1, n * columns)
+        objective = PCA(n, columns, 3, float(filled or 0))
+    choice = G.choose_kernel(width, share, n, limit)
+    if choice == "local":
+        kernel = G.local_logistic(matrix) if kind == "logistic" else G.local_sparse(matrix, columns)
+        return kernel, objective, objective.optimum(kernel.x, kernel.y)
+    kernel = G.ExpressionKernel(matrix, n) if kind == "logistic" else G.ArrowKernel(matrix, columns, n)
+    return kernel, objective, kernel.optimum(objective)
 
 
 def labelled_problem(spark: SparkSession, d: str, kind: str):
@@ -111,27 +122,41 @@ def gd_steps(matrix: DataFrame, eta: float, steps: int) -> list[tuple[int, np.nd
     return out
 
 
-def sweep(spark: SparkSession, d: str, kind: str, configs: list[tuple[str, int, bool]], workers: int = 8, iterations: int = 200, seeds: int = 5, every: int = 5, options: dict | None = None) -> DataFrame:
-    """Trajectories of (method, w, balanced) x seeds; every run is a task of its own."""
-    kernel, objective, optimum = problem(spark, d, kind)
-    stats = stats_of(spark, d, workers)
-    shared = spark.sparkContext.broadcast((kernel.x, kernel.y, objective, optimum, stats))
+def sweep(spark: SparkSession, d: str, kind: str, configs: list[tuple[str, int, bool]], workers: int = 8, iterations: int = 200, seeds: int = 5, every: int = 5, options: dict | None = None, stats: pd.DataFrame | None = None, script=None, limit: int | None = None) -> DataFrame:
+    """Trajectories of (method, w, balanced) x seeds.
+
+    A small matrix travels to the tasks and every run is a task of its own.  A
+    matrix above ``limit`` bytes stays distributed: the runs are planned on the
+    driver and each version of an iterate is one gradient job, some runs at a time.
+    """
+    kernel, objective, optimum = problem(spark, d, kind, limit=limit)
+    stats = stats_of(spark, d, workers) if stats is None else stats
     extra = dict(options or {})
     runs = [(i, m, w, b, s) for i, (m, w, b, s) in enumerate((m, w, b, s) for m, w, b in configs for s in range(seeds))]
+    n = kernel.n
 
-    def one(pdf: pd.DataFrame) -> pd.DataFrame:
-        x, y, objective, optimum, stats = shared.value
-        r = pdf.iloc[0]
-        o = Options(method=r["method"], w=int(r["w"]), iterations=iterations, parts=PARTS, eta=1.0 if r["method"] == "gd" else ETA[kind], seed=int(r["seed"]), **extra)
+    def one(kernel, objective, optimum, stats, r) -> pd.DataFrame:
+        run_id, method, w, balanced, seed = r
+        o = Options(method=method, w=int(w), iterations=iterations, eta=1.0 if method == "gd" else ETA[kind], seed=int(seed), **({"parts": PARTS} | extra))
         balancer = None
-        if r["balanced"]:
-            rows = np.array([b - a + 1 for a, b in (sub_bounds(len(x), workers, i + 1) for i in range(workers))])
-            balancer = Balancer(rows, np.full(workers, PARTS), int(r["w"]))
-        out = optimise(G.LocalKernel(x, y), objective, workers, gamma_latency(stats, int(r["seed"])), o, optimum, every, balancer)
-        return out.assign(run_id=int(r["run_id"]), method=r["method"], w=int(r["w"]), balanced=bool(r["balanced"]))[[c.split()[0] for c in TRAJECTORY.split(", ")]]
+        if balanced:
+            rows = np.array([b - a + 1 for a, b in (sub_bounds(n, workers, i + 1) for i in range(workers))])
+            balancer = Balancer(rows, np.full(workers, o.parts), int(w))
+        out = optimise(kernel, objective, workers, gamma_latency(stats, int(seed), script), o, optimum, every, balancer)
+        return out.assign(run_id=int(run_id), method=method, w=int(w), balanced=bool(balanced))[[c.split()[0] for c in TRAJECTORY.split(", ")]]
+
+    if not isinstance(kernel, G.LocalKernel):
+        with ThreadPoolExecutor(4) as pool:
+            found = list(pool.map(lambda r: one(kernel, objective, optimum, stats, r), runs))
+        return spark.createDataFrame(pd.concat(found), TRAJECTORY)
+    shared = spark.sparkContext.broadcast((kernel.x, kernel.y, objective, optimum, stats))
+
+    def task(pdf: pd.DataFrame) -> pd.DataFrame:
+        x, y, objective, optimum, stats = shared.value
+        return one(G.LocalKernel(x, y), objective, optimum, stats, tuple(pdf.iloc[0][["run_id", "method", "w", "balanced", "seed"]]))
 
     table = spark.createDataFrame(runs, "run_id int, method string, w int, balanced boolean, seed int").repartition(max(1, len(runs)), "run_id")
-    return table.groupBy("run_id").applyInPandas(one, TRAJECTORY)
+    return table.groupBy("run_id").applyInPandas(task, TRAJECTORY)
 
 
 def comparison(spark: SparkSession, d: str, kind: str, workers: int, quorum: int, iterations: int = 600, seeds: int = 1) -> DataFrame:

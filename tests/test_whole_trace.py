@@ -50,7 +50,7 @@ def test_all_pieces_sum_to_the_gradient(spark, sf):
     assert len(rows) == 10 * Q.N
     m = Q.logit(spark, sf)
     n = m.count()
-    whole = Q.G.ExpressionKernel(m, n).parts(None, [(1, n)], np.array(Q.FIXED)[:, None])[0][:, 0]
+    whole = Q.G.ExpressionKernel(m, n).parts(Q.Logistic(n, 7), [(1, n)], np.array(Q.FIXED)[:, None])[0][:, 0]
     assert np.allclose([sum(r[f"g{i}"] for r in rows) for i in range(7)], whole, atol=1e-6)
 
 

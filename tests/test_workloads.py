@@ -8,7 +8,8 @@ from stalegrad.operators import gradients as G
 from stalegrad.operators import latency as L
 from stalegrad.operators import matrix as M
 from stalegrad.operators import partitioning as P
-from stalegrad.operators.objectives import Logistic
+from stalegrad.functions.aggregates import gram_sum, interval_rows, vector_sum
+from stalegrad.operators.objectives import PCA, LeastSquares, Logistic, distributed_gram_schmidt, gram_schmidt
 from stalegrad.operators.simulate import predict_independent_iterations
 from stalegrad.plans import wallclock, workloads
 from stalegrad.plans.balancer import Balancer
@@ -60,3 +61,38 @@ def test_slow_ramp_release(spark, sf):
     stats = L.worker_stats(L.trace_from_events(load(spark, sf, "events"), 8))
     a = L.slow_ramp(stats, 8, release=F.col("worker") >= 7).join(stats.select("worker", F.col("e_comp").alias("e")), "worker")
     assert a.where("worker >= 7 AND e_comp <> e").count() == 0 and a.where("worker < 7 AND e_comp <= e").count() == 0
+
+
+@pytest.mark.parametrize("kind", ["logistic", "pca"])
+def test_runs_above_the_size_check_stay_in_spark(spark, sf, kind):
+    """The same trajectory from the distributed kernels as from the matrix in one process."""
+    configs = [("stale_cache", 3, False), ("gd", 4, False)]
+    cols = ["run_id", "t", "time_ms", "objective", "gap", "coverage", "cache_entries", "n_fresh", "n_stale"]
+    near, far = (workloads.sweep(spark, sf, kind, configs, workers=4, iterations=6, seeds=1, every=3, limit=limit).select(*cols).orderBy("run_id", "t").toPandas() for limit in (None, 0))
+    assert len(near) == 6 and np.allclose(near.to_numpy(float), far.to_numpy(float), rtol=1e-7, atol=1e-9)
+
+
+def test_expression_kernel_takes_the_objective(spark):
+    rng = np.random.default_rng(2)
+    x, y = rng.normal(size=(40, 3)), rng.normal(size=40)
+    matrix = spark.createDataFrame([(i + 1, float(y[i]), *map(float, x[i])) for i in range(40)], "sample_idx long, label double, x0 double, x1 double, x2 double")
+    kernel, v1, v2 = G.ExpressionKernel(matrix, 40), rng.normal(size=(3, 1)), rng.normal(size=(3, 2))
+    for objective, v in ((LeastSquares(40, 3, 0.1), v1), (Logistic(40, 3), v1), (PCA(40, 3, 2, 5.0), v2)):
+        local = G.LocalKernel(x, y)
+        for a, b in zip(kernel.parts(objective, [(1, 15), (20, 40)], v), local.parts(objective, [(1, 15), (20, 40)], v), strict=True):
+            assert np.allclose(a, b)
+        assert np.isclose(kernel.value(objective, v), local.value(objective, v))
+    assert np.isclose(kernel.optimum(LeastSquares(40, 3, 0.1)), LeastSquares(40, 3, 0.1).optimum(x, y))
+
+
+def test_distributed_gram_schmidt(spark):
+    v = np.random.default_rng(3).normal(size=(30, 3))
+    rows = spark.createDataFrame([(i, v[i].tolist()) for i in range(30)], "col int, v array<double>")
+    got = np.array([r["v"] for r in distributed_gram_schmidt(rows, 3).orderBy("col").collect()])
+    assert np.allclose(got, gram_schmidt(v))
+
+
+def test_grouped_aggregates(spark):
+    rows = spark.createDataFrame([(1, [1.0, 2.0], 1, 5), (1, [3.0, 4.0], 4, 9), (2, [1.0, 1.0], 20, 20), (2, None, 3, 3)], "g int, v array<double>, lo long, hi long")
+    got = {r.g: (r.s, r.q, r.n) for r in rows.groupBy("g").agg(vector_sum("v").alias("s"), gram_sum("v").alias("q"), interval_rows("lo", "hi").alias("n")).collect()}
+    assert got == {1: ([4.0, 6.0], [10.0, 14.0, 14.0, 20.0], 9), 2: ([1.0, 1.0], [1.0, 1.0, 1.0, 1.0], 2)}
