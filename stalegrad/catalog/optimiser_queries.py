@@ -488,13 +488,7 @@ def coded_sweep_all(spark, d):
     return coded(spark, d, None).groupBy("num", "den").agg(F.round(F.sum("ms"), 3).alias("total_ms")).select(F.round(F.col("num") / F.col("den"), 6).alias("rate"), "total_ms")
 
 
-# --- whole runs (beyond SQL; held against NumPy loops and known orderings in the tests) ----
-
-
-@query()
-def run_sc_logistic(spark, d):
-    """The stale-cache method on the logistic workload by the Spark kernel."""
-    return workloads.spark_logistic(spark, d, iterations=30)
+# --- balanced and compared runs (beyond SQL; held against NumPy loops and known orderings in the tests) ----
 
 
 def _registered(name: str, f):
@@ -502,9 +496,6 @@ def _registered(name: str, f):
     QUERIES[name] = f
 
 
-for _m, _w in (("stale_cache", 3), ("avg_gradient", 8), ("avg_gradient", 3), ("sgd", 3), ("gd", 8)):
-    _registered(f"run_{_m}_w{_w}_logistic", lambda spark, d, m=_m, w=_w: workloads.sweep(spark, d, "logistic", [(m, w, False)], seeds=2))
-    _registered(f"run_{_m}_w{_w}_pca", lambda spark, d, m=_m, w=_w: workloads.sweep(spark, d, "pca", [(m, w, False)], seeds=2))
 for _m in ("stale_cache", "avg_gradient", "sgd"):
     _registered(f"run_{_m}_balanced_logistic", lambda spark, d, m=_m: workloads.sweep(spark, d, "logistic", [(m, 3, True)], seeds=1))
 _registered("run_coded_bound", lambda spark, d: workloads.coded_run(spark, d, 45, 49))

@@ -37,8 +37,8 @@ def stats_of(spark: SparkSession, d: str, workers: int, ramp: float = RAMP, base
     return L.worker_stats(L.trace_from_events(load(spark, d, "events"), workers, base_ms, ramp)).orderBy("worker").toPandas()
 
 
-def problem(spark: SparkSession, d: str, kind: str, columns: int = 512, limit: int | None = None):
-    """(kernel, objective, optimum): in one process behind the size check, else by the kernel that fits the matrix."""
+def problem(spark: SparkSession, d: str, kind: str, columns: int = 512, limit: int | None = None, optimum: bool = True):
+    """(kernel, objective, optimum, 0 if not wanted): in one process behind the size check, else by the kernel that fits the matrix."""
     limit = G.LOCAL_LIMIT_BYTES if limit is None else limit
     if kind == "logistic":
         matrix = M.logit_matrix(load(spark, d, "lineitem"), load(spark, d, "part"))
@@ -52,9 +52,9 @@ def problem(spark: SparkSession, d: str, kind: str, columns: int = 512, limit: i
     choice = G.choose_kernel(width, share, n, limit)
     if choice == "local":
         kernel = G.local_logistic(matrix) if kind == "logistic" else G.local_sparse(matrix, columns)
-        return kernel, objective, objective.optimum(kernel.x, kernel.y)
+        return kernel, objective, objective.optimum(kernel.x, kernel.y) if optimum else 0.0
     kernel = G.ExpressionKernel(matrix, n) if kind == "logistic" else G.ArrowKernel(matrix, columns, n)
-    return kernel, objective, kernel.optimum(objective)
+    return kernel, objective, kernel.optimum(objective) if optimum else 0.0
 
 
 def labelled_problem(spark: SparkSession, d: str, kind: str):

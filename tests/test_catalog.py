@@ -4,11 +4,11 @@ import duckdb
 import pytest
 
 import __spark_entry__
-from stalegrad.catalog import latency_queries, optimiser_queries
+from stalegrad.catalog import latency_queries, optimiser_queries, relational_queries, run_queries
 
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-QUERIES = {**latency_queries.QUERIES, **optimiser_queries.QUERIES}
-ORACLES = {**latency_queries.ORACLES, **optimiser_queries.ORACLES}
+QUERIES = {**latency_queries.QUERIES, **optimiser_queries.QUERIES, **run_queries.QUERIES, **relational_queries.QUERIES}
+ORACLES = {**latency_queries.ORACLES, **optimiser_queries.ORACLES, **run_queries.ORACLES, **relational_queries.ORACLES}
 
 
 @pytest.fixture(scope="module")
