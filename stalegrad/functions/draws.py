@@ -9,6 +9,7 @@ from __future__ import annotations
 
 import hashlib
 import math
+from statistics import NormalDist
 
 import numpy as np
 import pandas as pd
@@ -82,6 +83,34 @@ def gamma_cdf_udf(x: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series
     return pd.Series(gamma_cdf(x.to_numpy(), shape.to_numpy(), scale.to_numpy()))
 
 
+def gamma_quantile(u: np.ndarray, shape: np.ndarray, scale: np.ndarray) -> np.ndarray:
+    """The gamma variate whose CDF is u, by bisection; a hashed uniform makes it a reproducible draw."""
+    u, a, s = np.broadcast_arrays(np.asarray(u, float), np.asarray(shape, float), np.asarray(scale, float))
+    low, high = np.zeros(u.shape), a * s + 1.0 * s
+    while (grow := gamma_cdf(high, a, s) < np.minimum(u, 1 - 1e-15)).any():
+        high = np.where(grow, 2 * high, high)
+    for _ in range(80):
+        middle = (low + high) / 2
+        under = gamma_cdf(middle, a, s) < u
+        low, high = np.where(under, middle, low), np.where(under, high, middle)
+    return (low + high) / 2
+
+
+def normal_quantile(u: np.ndarray) -> np.ndarray:
+    """The standard normal variate whose CDF is u."""
+    return np.array([NormalDist().inv_cdf(min(max(x, 1e-16), 1 - 1e-16)) for x in np.asarray(u, float).ravel()]).reshape(np.shape(u))
+
+
+@pandas_udf(DoubleType())
+def gamma_quantile_udf(u: pd.Series, shape: pd.Series, scale: pd.Series) -> pd.Series:
+    return pd.Series(gamma_quantile(u.to_numpy(), shape.to_numpy(), scale.to_numpy()))
+
+
+@pandas_udf(DoubleType())
+def normal_quantile_udf(u: pd.Series) -> pd.Series:
+    return pd.Series(normal_quantile(u.to_numpy()))
+
+
 def gamma_draws(rng: np.random.Generator, mean: np.ndarray, variance: np.ndarray, size: tuple[int, ...]) -> np.ndarray:
     """Gamma variates by moments; the mean itself where the variance is 0."""
     mean, variance = np.asarray(mean, float), np.asarray(variance, float)

@@ -49,6 +49,8 @@ class IntervalCache:
         """Takes the arrival unless something it overlaps is as new; then it replaces all of that."""
         first, last = self.overlapping(lo, hi)
         hits = self.entries[first:last]
+        if len(hits) == 1 and hits[0].lo == lo and hits[0].hi == hi and hits[0].version < version:
+            return self._renew(hits[0], version, grad)
         if self.overlap == "endpoint":
             hits = [e for e in hits if lo <= e.lo <= hi or lo <= e.hi <= hi]
         if any(e.version >= version for e in hits):
@@ -67,6 +69,16 @@ class IntervalCache:
             self.total = grad.copy() if self.total is None else self.total + grad
         return Event("replace" if hits else "insert", [(e.lo, e.hi, e.version) for e in hits], self.rows)
 
+    def _renew(self, entry: Entry, version: int, grad: np.ndarray | None) -> Event:
+        """The same interval again: its entry is changed in place, the lists stay as they are."""
+        gone = (entry.lo, entry.hi, entry.version)
+        if grad is not None:
+            self.total = grad.copy() if self.total is None else self.total + grad - (0 if entry.grad is None else entry.grad)
+        elif entry.grad is not None:
+            self.total = self.total - entry.grad
+        entry.version, entry.grad = version, grad
+        return Event("replace", [gone], self.rows)
+
     def resum(self) -> None:
         """Exact sum again, against the drift of many small corrections."""
         grads = [e.grad for e in self.entries if e.grad is not None]

@@ -49,11 +49,18 @@ def index_rows(df: DataFrame, seed: int = 0, strategy: str = "two_pass", digest=
 def indicator_matrix(pairs: DataFrame, row_key: str, col_key: str) -> DataFrame:
     """(row_key, nz): sorted column numbers from 1 of each row; columns are numbered by value.
 
-    The dictionary holds one row a distinct column value; the join takes its
-    size into account (broadcast only if Spark finds it small).
+    The dictionary of distinct column values is sorted in ranges: rows of a range
+    are ranked by themselves and the counts of the ranges before are added, so no
+    task holds all of it.  The join takes its size into account (broadcast only if
+    Spark finds it small).
     """
     cells = pairs.select(row_key, col_key).distinct()
-    names = cells.select(col_key).distinct().withColumn("col_idx", F.dense_rank().over(Window.orderBy(col_key)))
+    ranges = cells.select(col_key).distinct().repartitionByRange(col_key).withColumn("_range", F.spark_partition_id())
+    names = written(ranges, "columns")  # once, so that the ranges stay as they are
+    before = Window.orderBy("_range").rowsBetween(Window.unboundedPreceding, -1)  # one row a range
+    offsets = names.groupBy("_range").agg(F.count(F.lit(1)).alias("_n")).select("_range", F.coalesce(F.sum("_n").over(before), F.lit(0)).alias("_before"))
+    at = F.row_number().over(Window.partitionBy("_range").orderBy(col_key))
+    names = names.withColumn("_at", at).join(F.broadcast(offsets), "_range").select(col_key, (F.col("_before") + F.col("_at")).cast("int").alias("col_idx"))
     return cells.join(names, col_key).groupBy(row_key).agg(F.array_sort(F.collect_list("col_idx")).alias("nz"))
 
 

@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from stalegrad.functions.draws import gamma_draws
+from stalegrad.sources.tables import replicates
 
 
 @dataclass
@@ -141,8 +142,7 @@ def simulate(spark: SparkSession, stats: DataFrame, w: int, length: int, count:
                 s = recurrence(draws(table, length, np.random.default_rng([seed, int(r)])), w, margin)
                 yield pd.DataFrame({"replicate": r, "t": np.arange(1, length + 1, dtype=np.int32), "end_ms": s.ends, "fresh": list(s.fresh)})
 
-    ids = spark.range(0, count, 1, spark.sparkContext.defaultParallelism).withColumnRenamed("id", "replicate")
-    return ids.mapInPandas(run, "replicate long, t int, end_ms double, fresh array<boolean>")
+    return replicates(spark, count).mapInPandas(run, "replicate long, t int, end_ms double, fresh array<boolean>")
 
 
 def cumulative_latency(sim: DataFrame) -> DataFrame:

@@ -166,6 +166,37 @@ def comparison(spark: SparkSession, d: str, kind: str, workers: int, quorum: int
     return metrics.time_to_gap(runs, [1e-2, 1e-4, 1e-6, 1e-8], ["method", "w", "balanced"])
 
 
+def release_comparison(spark: SparkSession, d: str, kind: str = "logistic", workers: int = 49, quorums: tuple[int, ...] = (10,), iterations: int = 400, seeds: int = 5) -> DataFrame:
+    """Times to each gap when the slowest ten workers come back to speed after one second of the run."""
+    stats = stats_of(spark, d, workers, ramp=0.0)
+    script = release_script(workers, max(1, workers - 9), workers)
+    configs = [("stale_cache", w, False) for w in quorums] + [("avg_gradient", workers, False), ("sgd", quorums[0], False), ("gd", workers, False)]
+    runs = sweep(spark, d, kind, configs, workers, iterations, seeds, stats=stats, script=script)
+    return metrics.time_to_gap(runs, [1e-2, 1e-4, 1e-6, 1e-8], ["method", "w", "balanced", "run_id"]).groupBy("method", "w", "balanced", "eps").agg(F.avg("time_ms").alias("time_ms"), F.count("time_ms").alias("reached"))
+
+
+def cloud_comparison(spark: SparkSession, d: str, kind: str = "logistic", workers: int = 100, quorums: tuple[int, ...] = (5, 10, 20), iterations: int = 400, seeds: int = 5, balanced: bool = True) -> DataFrame:
+    """Times to each gap with many workers and noisy communication, with the balancer for the widest quorum."""
+    stats = cloud_stats(spark, d, workers)
+    configs = [("stale_cache", w, False) for w in quorums] + [("avg_gradient", workers, False), ("gd", workers, False)] + ([("stale_cache", quorums[-1], True)] if balanced else [])
+    runs = sweep(spark, d, kind, configs, workers, iterations, seeds, stats=stats)
+    return metrics.time_to_gap(runs, [1e-2, 1e-4, 1e-6, 1e-8], ["method", "w", "balanced", "run_id"]).groupBy("method", "w", "balanced", "eps").agg(F.avg("time_ms").alias("time_ms"), F.count("time_ms").alias("reached"))
+
+
+def balancing_ablations(spark: SparkSession, d: str, workers: int = 8, w: int = 4, iterations: int = 140, parts: int = 100) -> DataFrame:
+    """Latency and cache health under the speed script for each gate, overshoot and way of aligning."""
+    stats = stats_of(spark, d, workers, ramp=0.0)
+    n = load(spark, d, "lineitem").count()
+    rows = np.array([b - a + 1 for a, b in (sub_bounds(n, workers, i + 1) for i in range(workers))])
+    variants = [(g, "walk", "undo_last") for g in (0.0, 0.1, float("inf"))] + [(0.0, mode, "undo_last") for mode in ("nearest", "restart", "none")] + [(0.1, "walk", "keep")]
+    out = []
+    for threshold, mode, overshoot in variants:
+        balancer = Balancer(rows, np.full(workers, parts), w, threshold=threshold, solve_delay=2000.0, overshoot=overshoot)
+        p = plan(n, workers, gamma_latency(stats, 3, balancing_script()), Options(w=w, iterations=iterations, parts=parts, align_mode=mode), balancer)
+        out.append((threshold, mode, overshoot, float(p.ends[-1]), sum(len(x) for t in p.evicted for x in t), int(sum(n - c for c in p.covered)), sum(e["distributed"] for e in balancer.events)))
+    return spark.createDataFrame(out, "gate double, align_mode string, overshoot string, end_ms double, evicted long, missing_row_iterations long, published long")
+
+
 def spark_logistic(spark: SparkSession, d: str, workers: int = 8, w: int = 3, iterations: int = 40, method: str = "stale_cache") -> DataFrame:
     """A run whose matrix stays distributed: one job an iteration over the row ranges it needs."""
     matrix = M.logit_matrix(load(spark, d, "lineitem"), load(spark, d, "part"))

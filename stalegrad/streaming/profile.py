@@ -9,6 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -97,3 +98,32 @@ def run_once(stream: DataFrame, sink: str, checkpoint: str, mode: str = "append"
     """All that is there now into a Parquet folder, restartable from ``checkpoint``."""
     query = stream.writeStream.format("parquet").outputMode(mode).option("path", sink).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
+
+
+def step_each_batch(gradients: DataFrame, v, eta: float, n: int, checkpoint: str, on_step=None):
+    """An optimiser step for every micro-batch of (lo, hi, grad array<double>) rows; returns the last iterate.
+
+    The batch is summed on the executors (one vector and a row count reach the
+    driver), scaled by the share of rows it covers, and ``on_step(batch id, iterate)``
+    sees every step.
+    """
+    from stalegrad.functions.aggregates import vector_sum
+
+    state = {"v": v}
+
+    def step(batch: DataFrame, number: int) -> None:
+        rows = batch.agg(F.sum(F.col("hi") - F.col("lo") + 1)).first()[0]
+        if rows:
+            some = batch.groupBy(F.pmod(F.xxhash64("lo"), F.lit(32)).alias("salt")).agg(vector_sum("grad").alias("g"))
+            total = np.array(some.agg(vector_sum("g")).first()[0])
+            state["v"] = state["v"] - eta * total.reshape(state["v"].shape) / (rows / n)
+        if on_step:
+            on_step(number, state["v"])
+
+    gradients.writeStream.foreachBatch(step).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
+    return state["v"]
+
+
+def into_table(stream: DataFrame, name: str, mode: str, checkpoint: str) -> None:
+    """All that is there now into an in-memory table, in complete, update or append mode."""
+    stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", checkpoint).trigger(availableNow=True).start().awaitTermination()
