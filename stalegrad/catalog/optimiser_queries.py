@@ -509,5 +509,5 @@ _registered("delivery_and_cache", lambda spark, d: workloads.delivery_rows(spark
 for _m in ("stale_cache", "avg_gradient", "sgd"):
     _registered(f"run_{_m}_balanced_pca", lambda spark, d, m=_m: workloads.sweep(spark, d, "pca", [(m, 3, True)], seeds=1))
 _registered("release_comparison", lambda spark, d: workloads.release_comparison(spark, d))
-_registered("cloud_comparison", lambda spark, d: workloads.cloud_comparison(spark, d, seeds=2))
+_registered("cloud_comparison", lambda spark, d: workloads.cloud_comparison(spark, d, iterations=250, seeds=2))
 _registered("balancing_ablations", lambda spark, d: workloads.balancing_ablations(spark, d))

@@ -122,7 +122,7 @@ def gd_steps(matrix: DataFrame, eta: float, steps: int) -> list[tuple[int, np.nd
     return out
 
 
-def sweep(spark: SparkSession, d: str, kind: str, configs: list[tuple[str, int, bool]], workers: int = 8, iterations: int = 200, seeds: int = 5, every: int = 5, options: dict | None = None, stats: pd.DataFrame | None = None, script=None, limit: int | None = None) -> DataFrame:
+def sweep(spark: SparkSession, d: str, kind: str, configs: list[tuple[str, int, bool]], workers: int = 8, iterations: int = 200, seeds: int = 5, every: int = 5, options: dict | None = None, stats: pd.DataFrame | None = None, script=None, limit: int | None = None, solve_delay: float = 500.0) -> DataFrame:
     """Trajectories of (method, w, balanced) x seeds.
 
     A small matrix travels to the tasks and every run is a task of its own.  A
@@ -141,7 +141,7 @@ def sweep(spark: SparkSession, d: str, kind: str, configs: list[tuple[str, int,
         balancer = None
         if balanced:
             rows = np.array([b - a + 1 for a, b in (sub_bounds(n, workers, i + 1) for i in range(workers))])
-            balancer = Balancer(rows, np.full(workers, o.parts), int(w))
+            balancer = Balancer(rows, np.full(workers, o.parts), int(w), solve_delay=solve_delay)
         out = optimise(kernel, objective, workers, gamma_latency(stats, int(seed), script), o, optimum, every, balancer)
         return out.assign(run_id=int(run_id), method=method, w=int(w), balanced=bool(balanced))[[c.split()[0] for c in TRAJECTORY.split(", ")]]
 
@@ -179,7 +179,7 @@ def cloud_comparison(spark: SparkSession, d: str, kind: str = "logistic", worker
     """Times to each gap with many workers and noisy communication, with the balancer for the widest quorum."""
     stats = cloud_stats(spark, d, workers)
     configs = [("stale_cache", w, False) for w in quorums] + [("avg_gradient", workers, False), ("gd", workers, False)] + ([("stale_cache", quorums[-1], True)] if balanced else [])
-    runs = sweep(spark, d, kind, configs, workers, iterations, seeds, stats=stats)
+    runs = sweep(spark, d, kind, configs, workers, iterations, seeds, stats=stats, solve_delay=60_000.0)
     return metrics.time_to_gap(runs, [1e-2, 1e-4, 1e-6, 1e-8], ["method", "w", "balanced", "run_id"]).groupBy("method", "w", "balanced", "eps").agg(F.avg("time_ms").alias("time_ms"), F.count("time_ms").alias("reached"))
 
 
@@ -189,12 +189,16 @@ def balancing_ablations(spark: SparkSession, d: str, workers: int = 8, w: int =
     n = load(spark, d, "lineitem").count()
     rows = np.array([b - a + 1 for a, b in (sub_bounds(n, workers, i + 1) for i in range(workers))])
     variants = [(g, "walk", "undo_last") for g in (0.0, 0.1, float("inf"))] + [(0.0, mode, "undo_last") for mode in ("nearest", "restart", "none")] + [(0.1, "walk", "keep")]
-    out = []
-    for threshold, mode, overshoot in variants:
-        balancer = Balancer(rows, np.full(workers, parts), w, threshold=threshold, solve_delay=2000.0, overshoot=overshoot)
+
+    def one(pdf: pd.DataFrame) -> pd.DataFrame:
+        gate, mode, overshoot = pdf.iloc[0][["gate", "align_mode", "overshoot"]]
+        balancer = Balancer(rows, np.full(workers, parts), w, threshold=gate, solve_delay=10_000.0, overshoot=overshoot)
         p = plan(n, workers, gamma_latency(stats, 3, balancing_script()), Options(w=w, iterations=iterations, parts=parts, align_mode=mode), balancer)
-        out.append((threshold, mode, overshoot, float(p.ends[-1]), sum(len(x) for t in p.evicted for x in t), int(sum(n - c for c in p.covered)), sum(e["distributed"] for e in balancer.events)))
-    return spark.createDataFrame(out, "gate double, align_mode string, overshoot string, end_ms double, evicted long, missing_row_iterations long, published long")
+        out = (gate, mode, overshoot, float(p.ends[-1]), sum(len(x) for t in p.evicted for x in t), int(sum(n - c for c in p.covered)), sum(e["distributed"] for e in balancer.events))
+        return pd.DataFrame([out], columns=["gate", "align_mode", "overshoot", "end_ms", "evicted", "missing_row_iterations", "published"])
+
+    table = spark.createDataFrame([(i, *v) for i, v in enumerate(variants)], "variant int, gate double, align_mode string, overshoot string").repartition(len(variants), "variant")
+    return table.groupBy("variant").applyInPandas(one, "gate double, align_mode string, overshoot string, end_ms double, evicted long, missing_row_iterations long, published long")
 
 
 def spark_logistic(spark: SparkSession, d: str, workers: int = 8, w: int = 3, iterations: int = 40, method: str = "stale_cache") -> DataFrame:
