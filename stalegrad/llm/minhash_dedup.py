@@ -1,6 +1,6 @@
 """Near duplicates by circulant MinHash, banding and exact Jaccard.
 
-Two permutations of a fixed universe of 2**24 places make all coordinates of a
+Two permutations of a fixed universe of 2**22 places make all coordinates of a
 signature: the first scatters the shingles, the second is read at places shifted
 circularly by 0, 1, 2, ...  (Texts of many million distinct shingles fill that
 universe; they then meet more candidates, which the exact check sorts out.)  Doubling the second permutation once turns the K values of a
@@ -41,7 +41,7 @@ from pyspark.sql import functions as F
 from stalegrad.llm.common import fresh, written
 from stalegrad.llm.kernels import LOWER, U64, blocks, mix, word_codes, word_spans
 
-UNIVERSE_BITS = 24
+UNIVERSE_BITS = 22
 BANDS = 50
 BLOCK = 1 << 20
 BLOCK_SETS = 1 << 10
@@ -64,8 +64,12 @@ def permuted(x: np.ndarray, multipliers: tuple[int, ...]) -> np.ndarray:
 @lru_cache(maxsize=1)
 def shifted_rows(width: int) -> np.ndarray:
     """A view whose row x holds the second permutation at x, x+1, ... (circularly)."""
-    second = permuted(np.arange(1 << UNIVERSE_BITS, dtype=np.uint32), SHIFTED)
-    return np.lib.stride_tricks.sliding_window_view(np.concatenate((second, second[: width - 1])), width)
+    size, piece = 1 << UNIVERSE_BITS, 1 << 16
+    second = np.empty(size + width - 1, dtype=np.uint32)
+    for lo in range(0, size, piece):  # piecewise, as a worker has little room beside the table
+        second[lo : min(lo + piece, size)] = permuted(np.arange(lo, min(lo + piece, size), dtype=np.uint32), SHIFTED)
+    second[size:] = second[: width - 1]
+    return np.lib.stride_tricks.sliding_window_view(second, width)
 
 
 def shingle_set(codes: np.ndarray, size: int) -> np.ndarray:
