@@ -200,24 +200,15 @@ def best_workers_topk(spark, d):
     return best.select(F.row_number().over(Window.orderBy("e_total", "worker")).alias("rank"), "worker")
 
 
-@query(f"""WITH {TRACE}, pre AS (SELECT worker, ts, t, comp_ms FROM trace WHERE t % 10 = 0)
-SELECT a.worker, a.event_id, round(p.comp_ms, 6) AS last_comp_ms FROM trace a ASOF LEFT JOIN pre p ON a.worker = p.worker AND a.ts >= p.ts""")
-def stats_asof(spark, d):
-    tr = trace(spark, d)
-    kept = tr.where(F.col("t") % 10 == 0).select("worker", "ts", F.col("comp_ms").alias("last_comp_ms"))
-    return metrics.asof_last(tr.select("worker", "ts", "event_id"), kept, "worker", "ts", ["last_comp_ms"]).select("worker", "event_id", *r6("last_comp_ms"))
-
-
 @query(f"""WITH {TRACE}, us AS (SELECT *, epoch_us(ts) AS u FROM trace),
 pre AS (SELECT worker, ts, count(*) OVER w AS n_win, CAST(round(avg(comp_ms) OVER w * count(*) OVER w * 100) AS BIGINT) AS sum_hundredths FROM us
 WINDOW w AS (PARTITION BY worker ORDER BY u RANGE BETWEEN 86399999999 PRECEDING AND CURRENT ROW))
 SELECT a.worker, a.event_id, p.n_win, p.sum_hundredths FROM trace a ASOF LEFT JOIN pre p ON a.worker = p.worker AND a.ts >= p.ts""")
-def stats_asof_all(spark, d):
+def stats_asof(spark, d):
     """Every event with the moving profile in force at its time."""
     tr = trace(spark, d)
     total = F.round(F.col("e_comp") * F.col("n_win") * 100).cast("long")
-    own = L.moving_profile(tr, "1 day").select("worker", "event_id", "n_win", total.alias("sum_hundredths"))
-    profile = own.join(tr.select("worker", "event_id", "ts"), ["worker", "event_id"]).select("worker", "ts", "n_win", "sum_hundredths")
+    profile = L.moving_profile(tr, "1 day").select("worker", "ts", "n_win", total.alias("sum_hundredths"))
     return metrics.asof_last(tr.select("worker", "ts", "event_id"), profile, "worker", "ts", ["n_win", "sum_hundredths"]).select("worker", "event_id", "n_win", "sum_hundredths")
 
 
@@ -312,19 +303,9 @@ def participants_setops(spark, d):
     return a.intersect(b).select(F.lit("both").alias("what"), "worker").unionByName(a.exceptAll(b).distinct().join(b.distinct(), "worker", "left_anti").select(F.lit("only_slow").alias("what"), "worker"))
 
 
-@query(f"""WITH {TRACE}, r AS (SELECT worker, t, rank() OVER (PARTITION BY t ORDER BY round_trip_ms, worker) AS r FROM trace)
-SELECT DISTINCT worker FROM trace WHERE worker NOT IN (SELECT worker FROM r WHERE r <= 1 AND t <= 5)""")
-def never_fresh_workers(spark, d):
-    """Workers never the fastest of the first five iterations."""
-    tr = trace(spark, d)
-    rank = F.rank().over(Window.partitionBy("t").orderBy("round_trip_ms", "worker"))
-    fresh = tr.withColumn("r", rank).where("r <= 1 AND t <= 5").select("worker").distinct()
-    return tr.select("worker").distinct().join(fresh, "worker", "left_anti")
-
-
 @query(f"""WITH {TRACE}, r AS (SELECT worker, t, rank() OVER (PARTITION BY t ORDER BY round_trip_ms, worker) AS r FROM trace)
 SELECT DISTINCT worker FROM trace WHERE worker NOT IN (SELECT worker FROM r WHERE r <= 1)""")
-def never_fresh_workers_all(spark, d):
+def never_fresh_workers(spark, d):
     """Workers never the fastest of any iteration."""
     tr = trace(spark, d)
     rank = F.rank().over(Window.partitionBy("t").orderBy("round_trip_ms", "worker"))

@@ -38,7 +38,7 @@ _ZERO = "[" + ", ".join(["0.0"] * N) + "]"
 
 
 def _sim_sql(w: int) -> str:
-    return f"""lat AS (SELECT t, list(round_trip_ms ORDER BY worker) AS x FROM trace WHERE t <= {T} GROUP BY t),
+    return f"""lat AS (SELECT t, list(round_trip_ms ORDER BY worker) AS x FROM trace GROUP BY t HAVING count(*) = {N}),
 sim AS (
   SELECT 0 AS t, CAST(0 AS DOUBLE) AS now, CAST({_ZERO} AS DOUBLE[]) AS free, CAST([] AS DOUBLE[]) AS beg, CAST([] AS DOUBLE[]) AS done, CAST(0 AS DOUBLE) AS e
   UNION ALL
@@ -49,95 +49,46 @@ sim AS (
               FROM sim JOIN lat ON lat.t = sim.t + 1)))"""
 
 
-def recorded(spark, d) -> np.ndarray:
-    """Latencies (T, N) of the first recordings; T and N are fixed and small."""
-    rows = trace(spark, d).where(F.col("t") <= T).groupBy("t").agg(F.array_sort(F.collect_list(F.struct("worker", "round_trip_ms"))).alias("x")).orderBy("t").collect()
-    return np.array([[x["round_trip_ms"] for x in r["x"]] for r in rows])
+def whole(spark, d) -> DataFrame:
+    """(t, x array<double>): latencies by worker of every iteration that all workers have."""
+    rows = trace(spark, d).groupBy("t").agg(F.array_sort(F.collect_list(F.struct("worker", "round_trip_ms"))).alias("x"))
+    return rows.where(F.size("x") == N).select("t", F.transform("x", lambda s: s["round_trip_ms"]).alias("x"))
 
 
-@query(f"WITH RECURSIVE {TRACE}, {_sim_sql(W)} SELECT CAST(t AS INTEGER) AS t, round(e, 6) AS end_ms, CAST(len(list_filter(done, lambda x: x <= e)) AS INTEGER) AS n_fresh FROM sim WHERE t > 0")
+@query(f"WITH RECURSIVE {TRACE}, {_sim_sql(W)} SELECT CAST(t AS INTEGER) AS t, round(e, 3) AS end_ms, CAST(len(list_filter(done, lambda x: x <= e)) AS INTEGER) AS n_fresh FROM sim WHERE t > 0")
 def sim_iterations(spark, d):
-    s = simulate.recurrence(recorded(spark, d), W)
-    return spark.createDataFrame([(t + 1, round(float(s.ends[t]), 6), int(s.fresh[t].sum())) for t in range(len(s.ends))], "t int, end_ms double, n_fresh int")
+    return simulate.stream(whole(spark, d), W).select(F.col("t").cast("int").alias("t"), F.round("end_ms", 3).alias("end_ms"), F.size(F.filter("fresh", lambda hit: hit)).alias("n_fresh"))
+
+
+def fresh_of(spark, d) -> DataFrame:
+    return simulate.fresh_fraction(simulate.stream(whole(spark, d), W)).select(F.col("worker").cast("int").alias("worker"), "u")
 
 
 @query(f"""WITH RECURSIVE {TRACE}, {_sim_sql(W)}, flat AS (SELECT CAST(i AS INTEGER) AS worker, done[i] <= e AS hit FROM sim, range(1, {N + 1}) AS r(i) WHERE t > 0)
 SELECT worker, round(avg(CASE WHEN hit THEN 1.0 ELSE 0.0 END), 6) AS u FROM flat GROUP BY worker""")
 def fresh_fraction(spark, d):
-    u = simulate.recurrence(recorded(spark, d), W).fresh.mean(axis=0)
-    return spark.createDataFrame([(i + 1, round(float(x), 6)) for i, x in enumerate(u)], "worker int, u double")
+    return fresh_of(spark, d).select("worker", *r6("u"))
 
 
 @query(f"""WITH RECURSIVE {TRACE}, {_sim_sql(W)}, tasks AS (SELECT t AS version, done[i] AS finish FROM sim, range(1, {N + 1}) AS r(i) WHERE t > 0 AND (beg[i] < e OR done[i] <= e)),
-came AS (SELECT version, (SELECT min(s.t) FROM sim s WHERE s.t > 0 AND s.e >= finish) AS arrived FROM tasks)
-SELECT CAST(arrived - version AS INTEGER) AS staleness, count(*) AS n FROM came WHERE arrived IS NOT NULL GROUP BY 1""")
+ends AS (SELECT t, e FROM sim WHERE t > 0),
+came AS (SELECT version, ends.t AS arrived FROM tasks ASOF JOIN ends ON ends.e >= tasks.finish)
+SELECT CAST(arrived - version AS INTEGER) AS staleness, count(*) AS n FROM came GROUP BY 1""")
 def staleness_hist(spark, d):
-    s = simulate.recurrence(recorded(spark, d), W, keep_tasks=True)
-    at = [(version, int(np.searchsorted(s.ends, finish))) for finish, _, version, _ in s.tasks]
-    rows = spark.createDataFrame([(v + 1, a + 1) for v, a in at if a < len(s.ends)], "version int, arrived_in int")
-    return rows.groupBy((F.col("arrived_in") - F.col("version")).alias("staleness")).agg(F.count(F.lit(1)).alias("n"))
+    late = simulate.stream(whole(spark, d), W).select(F.explode("staleness").alias("staleness"))
+    return late.groupBy(F.col("staleness").cast("int").alias("staleness")).agg(F.count(F.lit(1)).alias("n"))
 
 
-@query(f"""WITH RECURSIVE {TRACE}, {_sim_sql(W)}, os AS (SELECT t, list_sort(x)[{W}] AS q FROM lat)
-SELECT CAST(sim.t AS INTEGER) AS t, round(e, 6) AS cum_ms, round((SELECT sum(q) FROM os WHERE os.t <= sim.t), 6) AS blind_ms FROM sim WHERE t > 0""")
+@query(f"""WITH RECURSIVE {TRACE}, {_sim_sql(W)}, os AS (SELECT t, sum(list_sort(x)[{W}]) OVER (ORDER BY t) AS blind FROM lat)
+SELECT CAST(t AS INTEGER) AS t, round(e, 3) AS cum_ms, round(blind, 3) AS blind_ms FROM sim JOIN os USING (t)""")
 def cumulative_latency(spark, d):
     """Ends of iterations beside the prediction that forgets busy workers."""
-    x = recorded(spark, d)
-    s, blind = simulate.recurrence(x, W), np.cumsum(np.sort(x, axis=1)[:, W - 1])
-    return spark.createDataFrame([(t + 1, round(float(s.ends[t]), 6), round(float(blind[t]), 6)) for t in range(len(x))], "t int, cum_ms double, blind_ms double")
+    return simulate.stream(whole(spark, d), W).select(F.col("t").cast("int").alias("t"), F.round("end_ms", 3).alias("cum_ms"), F.round("blind_ms", 3).alias("blind_ms"))
 
 
 @query(" UNION ALL ".join(f"SELECT * FROM (WITH RECURSIVE {TRACE}, {_sim_sql(w)} SELECT {w} AS w, round((SELECT max(e) FROM sim) / (SELECT sum(list_sort(x)[{w}]) FROM lat), 6) AS ratio)" for w in (1, 3, 8)))
 def carryover_gap(spark, d):
     """Simulated over carry-over-blind time: above 1 for w < N, 1 for w = N."""
-    x = recorded(spark, d)
-    rows = [(w, round(float(simulate.recurrence(x, w).ends[-1] / np.sort(x, axis=1)[:, w - 1].sum()), 6)) for w in (1, 3, 8)]
-    return spark.createDataFrame(rows, "w int, ratio double")
-
-
-@query()
-def sim_gamma_replicates(spark, d):
-    """Monte-Carlo ends from the fitted gammas (replicates over tasks)."""
-    stats = L.worker_stats(trace(spark, d))
-    return simulate.cumulative_latency(simulate.simulate(spark, stats, W, T, 64, seed=2)).select("t", *r6("cum_ms"))
-
-
-# --- the same over all recordings, streamed by t (the recursive ones are too slow as SQL) ------
-
-
-def whole(spark, d) -> DataFrame:
-    """(t, x array<double>): latencies by worker of every iteration that all workers have."""
-    rows = trace(spark, d).groupBy("t").agg(F.array_sort(F.collect_list(F.struct("worker", "round_trip_ms"))).alias("x"))
-    return rows.where(F.size("x") == N).select("t", F.transform("x", lambda s: s["round_trip_ms"]).alias("x"))
-
-
-@query()
-def sim_iterations_all(spark, d):
-    return simulate.stream(whole(spark, d), W).select("t", *r6("end_ms"), F.size(F.filter("fresh", lambda hit: hit)).alias("n_fresh"))
-
-
-def fresh_of_all(spark, d) -> DataFrame:
-    return simulate.fresh_fraction(simulate.stream(whole(spark, d), W)).select(F.col("worker").cast("int").alias("worker"), "u")
-
-
-@query()
-def fresh_fraction_all(spark, d):
-    return fresh_of_all(spark, d).select("worker", *r6("u"))
-
-
-@query()
-def staleness_hist_all(spark, d):
-    late = simulate.stream(whole(spark, d), W).select(F.explode("staleness").alias("staleness"))
-    return late.groupBy("staleness").agg(F.count(F.lit(1)).alias("n"))
-
-
-@query()
-def cumulative_latency_all(spark, d):
-    return simulate.stream(whole(spark, d), W).select("t", F.round("end_ms", 6).alias("cum_ms"), *r6("blind_ms"))
-
-
-@query()
-def carryover_gap_all(spark, d):
     out = None
     for w in (1, 3, 8):
         last = simulate.stream(whole(spark, d), w).agg(F.max("end_ms").alias("end"), F.max("blind_ms").alias("blind"))
@@ -147,10 +98,10 @@ def carryover_gap_all(spark, d):
 
 
 @query()
-def contribution_all(spark, d):
-    sizes = layout(spark, d)
-    total = sizes.agg(F.sum("rows").alias("n"))
-    return sizes.join(F.broadcast(fresh_of_all(spark, d)), "worker").crossJoin(F.broadcast(total)).select("worker", F.round(F.col("u") * F.col("rows") / (10 * F.col("n")), 9).alias("h"))
+def sim_gamma_replicates(spark, d):
+    """Monte-Carlo ends from the fitted gammas (replicates over tasks)."""
+    stats = L.worker_stats(trace(spark, d))
+    return simulate.cumulative_latency(simulate.simulate(spark, stats, W, T, 64, seed=2)).select("t", *r6("cum_ms"))
 
 
 # --- matrices and gradients ------------------------------------------------------------
@@ -198,25 +149,10 @@ def logistic_loss(spark, d):
 _PIECE = f"(w.first_row - 1 + (k - 1) * (w.last_row - w.first_row + 1) // 10 + 1)"
 
 
-@query(f"""WITH {LOGIT}, blocks AS (SELECT w AS worker, (w - 1) * (SELECT count(*) FROM m) // {N} + 1 AS first_row, w * (SELECT count(*) FROM m) // {N} AS last_row FROM range(1, {N + 1}) AS r(w)),
-pieces AS (SELECT {_PIECE} AS lo, w.first_row - 1 + k * (w.last_row - w.first_row + 1) // 10 AS hi FROM blocks w, range(1, 4) AS r(k))
-SELECT lo, {', '.join(f'round(sum(-label / (1 + exp(label * ({_Z}))) / n * x{i}), 9) AS g{i}' for i in range(7))} FROM m JOIN pieces ON sample_idx BETWEEN lo AND hi GROUP BY lo""")
-def logistic_subgradients(spark, d):
-    """The first three of ten pieces of every worker at a fixed iterate, in one job."""
-    m = logit(spark, d, keep=True)
-    n = m.count()
-    tasks = []
-    for w in range(1, N + 1):
-        lo, hi = P.sub_bounds(n, N, w)
-        tasks += [(lo - 1 + a, lo - 1 + b) for a, b in (P.sub_bounds(hi - lo + 1, 10, k) for k in (1, 2, 3))]
-    out = G.ExpressionKernel(m, n).frame(Logistic(n, 7), tasks, np.array(FIXED)[:, None])
-    return out.select("lo", *[F.round(f"g{i}", 9).alias(f"g{i}") for i in range(7)])
-
-
 @query(f"""WITH {LOGIT}, blocks AS (SELECT w AS worker, (w - 1) * (SELECT count(*) FROM m) // {N} + 1 AS first_row, w * (SELECT count(*) FROM m) // {N} AS last_row FROM range(1, {N + 1}) AS r(w)),
 pieces AS (SELECT {_PIECE} AS lo, w.first_row - 1 + k * (w.last_row - w.first_row + 1) // 10 AS hi FROM blocks w, range(1, 11) AS r(k))
 SELECT lo, {', '.join(f'round(sum(-label / (1 + exp(label * ({_Z}))) / n * x{i}), 9) AS g{i}' for i in range(7))} FROM m JOIN pieces ON sample_idx BETWEEN lo AND hi GROUP BY lo""")
-def logistic_subgradients_all(spark, d):
+def logistic_subgradients(spark, d):
     """All ten pieces of every worker at a fixed iterate, in one job."""
     m = logit(spark, d, keep=True)
     n = m.count()
@@ -438,27 +374,18 @@ def contribution(spark, d):
     return sizes.join(F.broadcast(u), "worker").crossJoin(F.broadcast(total)).select("worker", F.round(F.col("u") * F.col("rows") / (10 * F.col("n")), 9).alias("h"))
 
 
-def fresh_of(spark, d) -> DataFrame:
-    u = simulate.recurrence(recorded(spark, d), W).fresh.mean(axis=0)
-    return spark.createDataFrame([(i + 1, float(x)) for i, x in enumerate(u)], "worker int, u double")
-
-
 RATES = [(1, 2), (3, 4), (7, 8), (45, 49)]
 _CODED = f"""{TRACE}, rates(num, den) AS (VALUES {', '.join(map(str, RATES))}),
-o AS (SELECT num, den, t, comm_ms + 10 * comp_ms * den / num AS ms, row_number() OVER (PARTITION BY num, den, t ORDER BY comm_ms + 10 * comp_ms * den / num, worker) AS w FROM trace, rates WHERE t <= {T}),
+o AS (SELECT num, den, t, comm_ms + 10 * comp_ms * den / num AS ms, row_number() OVER (PARTITION BY num, den, t ORDER BY comm_ms + 10 * comp_ms * den / num, worker) AS w FROM trace, rates WHERE t IN (SELECT t FROM trace GROUP BY t HAVING count(*) = {N})),
 c AS (SELECT num, den, t, ms FROM o WHERE w = (num * {N} + den - 1) // den)"""
 
 
-def coded(spark, d, first: int | None = T) -> DataFrame:
+def coded(spark, d) -> DataFrame:
     from pyspark.sql import Window
 
     rates = spark.createDataFrame(RATES, "num int, den int")
     cost = F.col("comm_ms") + 10 * F.col("comp_ms") * F.col("den") / F.col("num")
-    recordings = trace(spark, d)
-    if first is None:  # all iterations that every worker has
-        recordings = recordings.join(whole(spark, d).select("t"), "t")
-    else:
-        recordings = recordings.where(F.col("t") <= first)
+    recordings = trace(spark, d).join(whole(spark, d).select("t"), "t")  # iterations that every worker has
     rows = recordings.crossJoin(F.broadcast(rates)).withColumn("ms", cost)
     rank = F.row_number().over(Window.partitionBy("num", "den", "t").orderBy("ms", "worker"))
     return rows.withColumn("w", rank).where(F.col("w") == F.ceil(F.col("num") * N / F.col("den"))).select("num", "den", "t", "ms")
@@ -475,19 +402,6 @@ def coded_sweep(spark, d):
     return coded(spark, d).groupBy("num", "den").agg(F.round(F.sum("ms"), 3).alias("total_ms")).select(F.round(F.col("num") / F.col("den"), 6).alias("rate"), "total_ms")
 
 
-_CODED_ALL = _CODED.replace(f"WHERE t <= {T}", f"WHERE t IN (SELECT t FROM trace GROUP BY t HAVING count(*) = {N})")
-
-
-@query(f"WITH {_CODED_ALL} SELECT t, round(ms, 6) AS ms FROM c WHERE num = 45")
-def coded_latency_all(spark, d):
-    return coded(spark, d, None).where("num = 45").select("t", *r6("ms"))
-
-
-@query(f"WITH {_CODED_ALL} SELECT round(num / den, 6) AS rate, round(sum(ms), 3) AS total_ms FROM c GROUP BY num, den")
-def coded_sweep_all(spark, d):
-    return coded(spark, d, None).groupBy("num", "den").agg(F.round(F.sum("ms"), 3).alias("total_ms")).select(F.round(F.col("num") / F.col("den"), 6).alias("rate"), "total_ms")
-
-
 # --- balanced and compared runs (beyond SQL; held against NumPy loops and known orderings in the tests) ----
 
 

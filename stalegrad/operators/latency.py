@@ -154,7 +154,7 @@ def moving_profile(trace: DataFrame, window: str = "1 day") -> DataFrame:
     span = int(_micros(window))
     w = Window.partitionBy("worker").orderBy("_us").rangeBetween(-span + 1, 0)
     return trace.withColumn("_us", micros).select(
-        "worker", "event_id", F.count(F.lit(1)).over(w).alias("n_win"),
+        "worker", "event_id", "ts", F.count(F.lit(1)).over(w).alias("n_win"),
         F.avg("comm_ms").over(w).alias("e_comm"), F.var_samp("comm_ms").over(w).alias("v_comm"),
         F.avg("comp_ms").over(w).alias("e_comp"), F.var_samp("comp_ms").over(w).alias("v_comp"),
     )
