@@ -39,7 +39,7 @@ from stalegrad.llm.common import WORD_BREAKS, fresh, written
 
 SLOTS = 4
 KICKS = 200
-SHARD_KEYS = 1 << 17
+SHARD_KEYS = 1 << 15
 KEYS = "shard int, digest binary, keep_id long, group_size long, filter binary"
 
 

@@ -18,7 +18,7 @@ from functools import lru_cache
 import numpy as np
 import pyarrow as pa
 
-BLOCK_BYTES = 1 << 20
+BLOCK_BYTES = (1 << 18) - 1  # a worker keeps what its largest arrays took, so blocks are small
 U64 = np.uint64
 
 _SPACE = np.zeros(256, dtype=bool)
@@ -62,7 +62,7 @@ def powers(n: int, lane: int = 0, inverse: bool = False) -> np.ndarray:
             out[done : done + step] = out[:step] * U64(pow(base, done, 1 << 64))
             done += step
         have = out
-        if size <= 1 << 22:
+        if size <= 1 << 19:  # more than a block needs is for one long text only
             _POWERS[(lane, inverse)] = have
     return have[:n]
 

@@ -163,6 +163,18 @@ def _verified(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return pairs.join(left, "ka").join(right, "kb").select("a", "b", "sa", "sb").mapInArrow(test, "a long, b long")
 
 
+def _linked(both: np.ndarray, sizes: np.ndarray, who: np.ndarray, side: np.ndarray | None, percent: int) -> Iterator[tuple[int, int]]:
+    """Pairs i < j of different components and sides whose overlap ``both`` reaches the threshold, by strips of rows."""
+    for lo in range(0, len(sizes), 128):
+        strip = slice(lo, lo + 128)
+        linked = 100 * both[strip] >= percent * (sizes[strip, None] + sizes[None] - both[strip])
+        linked &= who[strip, None] != who[None]
+        if side is not None:
+            linked &= side[strip, None] != side[None]
+        for i, j in zip(*np.nonzero(np.triu(linked, lo + 1)), strict=True):
+            yield lo + i, j
+
+
 def _inside(sets: list[np.ndarray], side: np.ndarray, component: list[int], percent: int) -> list[tuple[int, int]]:
     """Links between components among the sets of one task: enough of them to join what is linked.
 
@@ -184,17 +196,12 @@ def _inside(sets: list[np.ndarray], side: np.ndarray, component: list[int], perc
         column = np.where(count > 1, np.cumsum(count > 1) - 1, -1)[which]
         row = np.repeat(np.arange(len(sets)), sizes)
         both = np.zeros((len(sets), len(sets)), dtype=np.float32)
-        for lo in range(0, int(column.max()) + 1, 4096):
-            here = (column >= lo) & (column < lo + 4096)
-            grid = np.zeros((len(sets), 4096), dtype=np.float32)
+        for lo in range(0, int(column.max()) + 1, 1024):
+            here = (column >= lo) & (column < lo + 1024)
+            grid = np.zeros((len(sets), 1024), dtype=np.float32)
             grid[row[here], column[here] - lo] = 1
             both += grid @ grid.T
-        linked = 100 * both >= percent * (sizes[:, None] + sizes[None] - both)
-        who = np.array(component)
-        linked &= who[:, None] != who[None]
-        if two:
-            linked &= side[:, None] != side[None]
-        pairs = zip(*np.nonzero(np.triu(linked, 1)), strict=True)
+        pairs = _linked(both, sizes, np.array(component), side if two else None, percent)
     else:
         pairs = ((i, j) for i in range(len(sets)) for j in range(i + 1, len(sets)))
     for i, j in pairs:
