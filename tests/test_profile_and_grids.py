@@ -1,5 +1,6 @@
 """Moving profiles of many recordings, and grids that come from the given tables."""
 
+from collections import Counter
 from datetime import datetime, timedelta
 
 import numpy as np
@@ -9,6 +10,8 @@ from pyspark.sql import functions as F
 
 from stalegrad.catalog import latency_queries as Q
 from stalegrad.operators import latency as L
+from stalegrad.operators import partitioning as P
+from stalegrad.sources.tables import load
 
 TRACE = "worker int, event_id long, ts timestamp_ntz, comm_ms double, comp_ms double"
 
@@ -48,3 +51,12 @@ def test_profile_of_odd_recordings(spark):
 def test_profile_has_no_frame_that_is_summed_again_for_every_row(spark, sf):
     plan = L.moving_profile(Q.trace(spark, sf))._jdf.queryExecution().executedPlan().toString()
     assert "RangeFrame, -" not in plan and "FlatMapGroupsInArrow" in plan
+
+
+def test_grids_follow_the_lines_of_each_worker(spark, sf):
+    held = Counter(r.l_suppkey % Q.N + 1 for r in load(spark, sf, "lineitem").select("l_suppkey").collect())
+    cells = {(w, p, p2, k) for w in held for p in range(1, 13) for p2 in range(1, 13) for k in range(1, p + 1)}
+    moved = {(r.worker, r.p, r.p2, r.k): r.j for r in Q.translate_index(spark, sf).collect()}
+    assert moved == {(w, p, p2, k): P.translate(held[w], p, p2, k) for w, p, p2, k in cells}
+    walked = {(r.worker, r.p, r.p2, r.k): r.j for r in Q.align_index(spark, sf).collect()}
+    assert walked == {(w, p, p2, k): P.align(held[w], p, p2, k) for w, p, p2, k in cells}
