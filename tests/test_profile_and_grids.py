@@ -60,3 +60,9 @@ def test_grids_follow_the_lines_of_each_worker(spark, sf):
     assert moved == {(w, p, p2, k): P.translate(held[w], p, p2, k) for w, p, p2, k in cells}
     walked = {(r.worker, r.p, r.p2, r.k): r.j for r in Q.align_index(spark, sf).collect()}
     assert walked == {(w, p, p2, k): P.align(held[w], p, p2, k) for w, p, p2, k in cells}
+
+
+def test_burst_chance_follows_the_recordings(spark, sf):
+    share = sum(r.n for r in Q.burst_islands(spark, sf).collect()) / load(spark, sf, "events").count()
+    got = {r.n_workers: r.p for r in Q.no_burst_probability(spark, sf).collect()}
+    assert share > 0 and got == {n: pytest.approx((1 - share) ** n, abs=1e-6) for n in (8, 36, 72, 100, 1000)}
