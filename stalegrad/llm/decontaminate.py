@@ -314,21 +314,20 @@ def leaks(docs: DataFrame, items: DataFrame, min_tokens: int = MIN_TOKENS, perce
 
 def drop_leaks(docs: DataFrame, items: DataFrame, min_tokens: int = MIN_TOKENS, percent: int = PERCENT, block_hashes: int = 4 << 20) -> DataFrame:
     """The rows of ``docs`` that hold no leak; columns as they were."""
-    clean = _clean(items)
+    tests = _clean(items)
     names = [f"_k{i}" for i in range(len(docs.columns))]
     text = names[[c.lower() for c in docs.columns].index("text")]
     keyed = docs.toDF(*names)
-    block = _block(clean, block_hashes)
+    block = _block(tests, block_hashes)
     if block is None:
         kept = written(keyed.withColumn("_row", F.monotonically_increasing_id()), "numbered")
-        found = _joined(kept.select(F.col("_row").alias("id"), token_column(F.col(text)).alias("tokens")), clean, min_tokens, percent)
+        found = _joined(kept.select(F.col("_row").alias("id"), token_column(F.col(text)).alias("tokens")), tests, min_tokens, percent)
         return kept.join(found.select(F.col("id").alias("_row")).distinct(), "_row", "left_anti").drop("_row").toDF(*docs.columns)
     shared = docs.sparkSession.sparkContext.broadcast(block)
-    out = keyed.withColumn("_tokens", token_column(F.col(text)))
 
-    def read(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            clean = [not scan(doc, shared.value, min_tokens, percent) for _, doc in token_hashes(batch.column("_tokens"))]
-            yield batch.filter(pa.array(clean, pa.bool_()))
+    @F.arrow_udf("boolean")
+    def clean(tokens: pa.Array) -> pa.Array:
+        return pa.array([not scan(doc, shared.value, min_tokens, percent) for _, doc in token_hashes(tokens)], pa.bool_())
 
-    return out.mapInArrow(read, ", ".join(f"{k} {t}" for k, t in out.dtypes)).drop("_tokens").toDF(*docs.columns)
+    # only the tokens go to Python; the other columns wait in the JVM, in pages that can spill
+    return keyed.where(clean(token_column(F.col(text)))).toDF(*docs.columns)

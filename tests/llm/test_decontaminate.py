@@ -95,3 +95,9 @@ def test_repetitive_text_against_repetitive_item(spark):
     doc = next(t for _, t in d.token_hashes(d.pa.array(["la " * 3000])))
     assert len(d._diagonals(doc, block)) <= 3400
     assert d.scan(doc, block, 13, 80)[0][4] == 400
+
+
+def test_only_the_tokens_go_to_python(spark, sf):
+    docs = spark.read.parquet(f"{sf}/documents.parquet")
+    plan = d.drop_leaks(docs, spark.read.parquet(f"{sf}/benchmark.parquet"))._jdf.queryExecution().executedPlan().toString()
+    assert "ArrowEvalPython" in plan and "MapInArrow" not in plan
